@@ -30,7 +30,27 @@ from graphloom.llm.common import arrow_rows, texts
 _SPACES = "\t\n\x0b\x0c\r \x85\xa0  -     　"
 _ODD = regex.compile("[\x1c-\x1f]")  # str.split() takes these for spaces
 _RUN = regex.compile(f"[^{_SPACES}]+")
-CACHE_CHUNKS = 400_000
+#: Entries that a worker's memory of chunks holds before its older half is let go (a word's and prefix's memory: half of that).
+CACHE_CHUNKS = 600_000
+
+
+class Memory(dict):
+    """A memo of a function in two generations: what is used again outlives the change of generation."""
+
+    def __init__(self, compute, most: int):
+        super().__init__()
+        self.compute, self.most, self.old = compute, most, {}
+
+    def __missing__(self, key: str):
+        value = self.old.get(key)
+        if value is None:
+            value = self.compute(key)
+        if len(key) <= 40:
+            if len(self) >= self.most:
+                self.old = dict(self)
+                self.clear()
+            self[key] = value
+        return value
 
 
 def byte_symbols() -> list[str]:
@@ -59,10 +79,9 @@ class TokenAutomaton:
         self._marks = tuple({s[:2] for s in self.special})
         self._compile([tuple(m) if isinstance(m, list) else tuple(m.split(" ")) for m in model["merges"]])
         self.arcs: dict[int, bool] = {}
-        #: Memories of a worker, emptied when full: chunks' ids, words' ids, and states by prefix.
-        self.cache: dict[str, bytes] = {}
-        self.words: dict[str, bytes] = {}
-        self.states: dict[str, int] = {}
+        self.cache = Memory(self._chunk, CACHE_CHUNKS)
+        self.words = Memory(self._word, CACHE_CHUNKS // 2)
+        self.states: dict[str, int] = {}  # the state that each prefix reaches
 
     def _compile(self, merges: list[tuple[str, str]]) -> None:
         size, never = len(self.labels), len(merges) + 1
@@ -80,12 +99,12 @@ class TokenAutomaton:
                 self.right[w] = [*((t, a, min(b, step)) for t, a, b in self.right[v]), (w, step, never)]
                 self.left[w] = [*((t, a, min(b, step)) for t, a, b in self.left[u]), (w, step, never)]
         self.width = [len(x.decode().removesuffix(self.end)) for x in self.labels]
-        #: For the last three symbols of a text (and the end mark): length of the longest token that ends so.
+        #: For up to five last symbols of a text (and the end mark): length of the longest token that ends so.
         self.reach: dict[str, int] = {}
         for text, label in self.vocab.items():
             tail = self.end if text.endswith(self.end) and text != self.end else ""
             body = text.removesuffix(tail)
-            for k in (1, 2, 3):
+            for k in range(1, 6):
                 if len(body) >= k:
                     self.reach[body[-k:] + tail] = max(self.reach.get(body[-k:] + tail, 0), self.width[label])
 
@@ -102,26 +121,32 @@ class TokenAutomaton:
 
     def _last(self, word: str, i: int, last: list[int], tail: str) -> int:
         """The only token that can end the path over word[:i]; last has those of the shorter prefixes."""
-        vocab, arcs = self.vocab, self.arcs
-        for j in range(max(0, i - self.reach.get(word[max(0, i - 3) : i] + tail, 2)), i):
-            label = vocab.get(word[j:i] + tail)
+        vocab, arcs, reach = self.vocab, self.arcs, self.reach
+        head = word[:i] + tail
+        span = min(i, 5)
+        longest = reach.get(head[i - span :])
+        while longest is None:
+            span -= 1
+            longest = span if head[i - span :] in reach else None
+        for j in range(i - longest if longest < i else 0, i):
+            label = vocab.get(head[j:])
             if label is None:
                 continue
-            if j:
-                key = last[j] << 17 | label
-                ok = arcs.get(key)
-                if ok is None:
-                    ok = arcs[key] = self.arc(last[j], label)
-                if ok:
+            if not j:
+                if self._whole(label):
                     return label
-            elif self._whole(label):
+                continue
+            key = last[j] << 17 | label
+            ok = arcs.get(key)
+            if ok is None:
+                ok = arcs[key] = self.arc(last[j], label)
+            if ok:
                 return label
         raise ValueError(f"no path spells {word!r}")
 
     def spell(self, word: str) -> list[int]:
         """Labels on the only path that spells a word, given in byte symbols without the end mark."""
-        n, states = len(word), self.states
-        last = [-1] * n
+        n, states, last = len(word), self.states, [-1]
         for i in range(1, n):
             head = word[:i]
             state = states.get(head)
@@ -129,55 +154,43 @@ class TokenAutomaton:
                 state = self._last(word, i, last, "")
                 if i <= 24:
                     states[head] = state
-            last[i] = state
+            last.append(state)
         label = self._last(word, n, last, self.end)
-        out, i = [label], n - self.width[label]
+        out, i, width = [label], n - self.width[label], self.width
         while i:
             label = last[i]
             out.append(label)
-            i -= self.width[label]
-        return out[::-1]
+            i -= width[label]
+        out.reverse()
+        return out
 
     def _whole(self, label: int) -> bool:
         """A token that merges can make, from the start state."""
         return len(self.right[label]) > 1 or self.width[label] == 1
 
     def _word(self, word: str) -> bytes:
-        ids = self.words.get(word)
-        if ids is None:
-            ids = array("I", self.spell(word if word.isascii() and word.isprintable() else "".join([self.symbols[b] for b in word.encode("utf-8", "replace")]))).tobytes()
-            if len(word) <= 40:
-                self.words[word] = ids
-        return ids
+        plain = word.isascii() and word.isprintable()
+        return array("I", self.spell(word if plain else "".join([self.symbols[b] for b in word.encode("utf-8", "replace")]))).tobytes()
 
     def _chunk(self, chunk: str) -> bytes:
         """Ids of a run without spaces, as unsigned 32-bit integers."""
+        words = self.words
         if chunk.isascii():
             chunk = chunk.lower()
             if chunk.isalpha():
-                return self._word(chunk)
+                return words[chunk]
+            if chunk[-1] in ".," and chunk[:-1].isalpha():
+                return words[chunk[:-1]] + words[chunk[-1]]
         else:
             chunk = "".join([c.lower() for c in unicodedata.normalize("NFC", chunk)])
-        return b"".join([self._word(w) for w in self.word.findall(chunk)])
+        return b"".join([words[w] for w in self.word.findall(chunk)])
 
     def _plain(self, text: str) -> bytes:
+        for memory in (self.states, self.arcs):
+            if len(memory) > CACHE_CHUNKS:
+                memory.clear()
         cache = self.cache
-        chunks = text.split() if not _ODD.search(text) else _RUN.findall(text)
-        try:
-            return b"".join([cache[c] for c in chunks])
-        except KeyError:
-            for memory in (cache, self.words, self.states, self.arcs):
-                if len(memory) > CACHE_CHUNKS:
-                    memory.clear()
-            parts = []
-            for c in chunks:
-                ids = cache.get(c)
-                if ids is None:
-                    ids = self._chunk(c)
-                    if len(c) <= 40:
-                        cache[c] = ids
-                parts.append(ids)
-            return b"".join(parts)
+        return b"".join([cache[c] for c in (text.split() if not _ODD.search(text) else _RUN.findall(text))])
 
     def encode(self, text: str) -> bytes:
         """Ids of a text as little-endian unsigned 32-bit integers. Special strings are their own ids."""

@@ -6,15 +6,31 @@ from pyspark.sql import DataFrame, SparkSession
 
 from graphloom.llm.bpe import round_trip_digests, vocabulary
 from graphloom.llm.common import table
+from graphloom.llm.lattice import near_duplicate_vectors
 from graphloom.llm.packing import pack_documents
+from graphloom.llm.quality import classify_quality
+from graphloom.llm.set_join import near_duplicate_components
 from graphloom.llm.sharding import shard_documents
+from graphloom.llm.toxicity import classify_toxicity
 from graphloom.llm.url_rules import judge_sql, judge_urls
 
 
+def op1_lattice(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return near_duplicate_vectors(table(spark, sf_dir, "embeddings"))
+
+
+def op2_chosen_path(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return near_duplicate_components(table(spark, sf_dir, "documents"))
+
+
 def op3_url_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return judge_urls(table(spark, sf_dir, "pages"))
 
 
+def op4_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return classify_quality(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
 def op5_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return round_trip_digests(table(spark, sf_dir, "documents"), vocabulary()).drop("ids_crc32")
 
@@ -23,12 +39,16 @@ def op7_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pack_documents(table(spark, sf_dir, "documents"), vocabulary())
 
 
+def op8_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return classify_toxicity(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
 def op10_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     return shard_documents(table(spark, sf_dir, "documents"))
 
 
 def queries() -> dict:
-    return {f.__name__: f for f in (op3_url_rules, op5_bpe, op7_packing, op10_sharding)}
+    return {f.__name__: f for f in (op1_lattice, op2_chosen_path, op3_url_rules, op4_quality, op5_bpe, op7_packing, op8_toxicity, op10_sharding)}
 
 
 def oracle_sql() -> dict[str, str]:
