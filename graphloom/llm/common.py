@@ -8,6 +8,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import StructField, StructType
 
 
 def table(spark, sf_dir: str, name: str) -> DataFrame:
@@ -78,6 +79,19 @@ def by_sorted_group(df: DataFrame, keys: list[str], order: list[str], kernel: Ca
     return dealt.sortWithinPartitions(*keys, *order).mapInArrow(run, schema)
 
 
+def keep_by_score(docs: DataFrame, make: Callable[[], Callable[[pa.Array], np.ndarray]], passes: Callable[[np.ndarray], np.ndarray]) -> DataFrame:
+    """The rows of docs whose text's score passes, with all their columns, in one narrow pass. make() is called once a task."""
+    text_at = docs.columns.index("text")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        score = make()
+        for b in batches:
+            yield b.filter(pa.array(passes(score(b.column(text_at)))))
+
+    inner = StructType([StructField(f"c{i}", f.dataType) for i, f in enumerate(docs.schema.fields)])
+    return docs.toDF(*inner.names).mapInArrow(run, inner).toDF(*docs.columns)
+
+
 def blocked_pairs(df: DataFrame, group: list[str], blocks: DataFrame, member: str) -> DataFrame:
     """Rows of each group dealt to pairs of blocks, so that no task holds a whole large group.
 

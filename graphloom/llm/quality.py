@@ -126,6 +126,9 @@ class BoostedTrees:
     def score(self, x: np.ndarray) -> np.ndarray:
         return 1 / (1 + np.exp(-self.margin(x)))
 
+    def scorer(self):
+        return lambda column: self.score(statistics(column))
+
 
 def grow(x: np.ndarray, y: np.ndarray, trees: int = 80, depth: int = 4, rate: float = 0.15, bins: int = 64, ridge: float = 1.0, least: float = 4.0) -> BoostedTrees:
     """Fit logistic loss. Without both labels the score is the label's share, 0.5 without rows."""

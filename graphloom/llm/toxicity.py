@@ -150,6 +150,17 @@ class ToxicityModel:
     lexicon: Lexicon
     weights: np.ndarray
 
+    def scorer(self):
+        """A function from a column of texts to scores, with a word memory of its own."""
+        symbols = WordSymbols(self.lexicon)
+
+        def score(column: pa.Array) -> np.ndarray:
+            got = [clause_events(t, symbols) for t in texts(column)]
+            x = _features([c for c, _ in got], [k for _, k in got])
+            return 1 / (1 + np.exp(-np.clip(x @ self.weights, -30, 30)))
+
+        return score
+
 
 def _terms(chunk: str) -> list[str]:
     word = chunk.strip(_STRIP).lower()
@@ -251,11 +262,9 @@ def score_toxicity(docs: DataFrame, model: ToxicityModel) -> DataFrame:
     """(doc_id, score) of each row of docs. A document without a matching clause has the constant's score; so have null and empty texts."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        symbols = WordSymbols(model.lexicon)
+        score = model.scorer()
         for b in batches:
-            got = [clause_events(t, symbols) for t in texts(b.column(1))]
-            x = _features([c for c, _ in got], [k for _, k in got])
-            yield arrow_rows(SCORED, {"doc_id": b.column(0), "score": 1 / (1 + np.exp(-np.clip(x @ model.weights, -30, 30)))})
+            yield arrow_rows(SCORED, {"doc_id": b.column(0), "score": score(b.column(1))})
 
     return docs.select(docs["doc_id"].cast("bigint"), docs["text"]).mapInArrow(run, SCORED)
 
