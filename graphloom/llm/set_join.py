@@ -27,7 +27,7 @@ from graphloom.operators.components import components_of_links, star_edges
 from graphloom.plans.scratch import Scratch
 
 WIDTH = 128
-SMALL, DEPTH, BLOCK = 256, 6, 512
+SMALL, DEPTH, BLOCK = 1024, 6, 1024
 LINK = "u bigint, v bigint"
 SIGNED = "doc_id bigint, n bigint, k1 bigint, k2 bigint, sig binary"
 
