@@ -2,7 +2,7 @@
 
 In each of several tables a vector is projected at random to eight dimensions and decoded to the
 nearest point of the E8 lattice; it also probes the neighbouring cell that the other coset of the
-lattice offers. Vectors that meet in a cell and are alike by 128 sign bits are gathered in clusters.
+lattice offers. Vectors that meet in a cell and are alike by 256 sign bits are gathered in clusters.
 Within its cluster every vector is then compared in double precision with all others, in pairs of
 blocks, which confirms every link, counts each once, and finds those that no table brought together.
 """
@@ -22,7 +22,9 @@ from graphloom.operators.components import components_of_links, star_edges
 from graphloom.plans.scratch import Scratch
 
 TABLES, SCALE, BLOCK = 24, 2.0, 1024
-CELL = "cell bigint, rid bigint, s1 bigint, s2 bigint"
+BITS = 256
+SIGNS = [f"s{i}" for i in range(BITS // 64)]
+CELL = "cell bigint, rid bigint, " + ", ".join(f"{s} bigint" for s in SIGNS)
 FOUND = "kind int, a bigint, b bigint"
 
 
@@ -44,10 +46,10 @@ def e8_points(x: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
 
 
 def _frames(width: int, tables: int) -> tuple[np.ndarray, np.ndarray]:
-    """Random projections of the tables (width x 8 each) and 128 sign directions; the same in every task."""
+    """Random projections of the tables (width x 8 each) and BITS sign directions; the same in every task."""
     rng = np.random.default_rng(811 + width)
     turns = [np.linalg.qr(rng.normal(size=(max(width, 8), 8)))[0][:width] * np.sqrt(width / 8) * SCALE for _ in range(tables)]
-    return np.stack(turns), rng.normal(size=(width, 128))
+    return np.stack(turns), rng.normal(size=(width, BITS))
 
 
 def _cells(unit: np.ndarray, rid: np.ndarray, tables: int) -> Iterator[pa.RecordBatch]:
@@ -61,7 +63,7 @@ def _cells(unit: np.ndarray, rid: np.ndarray, tables: int) -> Iterator[pa.Record
                 for c in range(8):
                     key = mix(key ^ point[:, c].astype(U))
                 keys.append(key.view(np.int64))
-            yield arrow_rows(CELL, {"cell": np.concatenate(keys), "rid": np.tile(rid, 2), "s1": np.tile(bits[:, 0], 2), "s2": np.tile(bits[:, 1], 2)})
+            yield arrow_rows(CELL, {"cell": np.concatenate(keys), "rid": np.tile(rid, 2), **{s: np.tile(bits[:, i], 2) for i, s in enumerate(SIGNS)}})
 
 
 def _unit_rows(column: pa.Array) -> dict[int, tuple[np.ndarray, np.ndarray]]:
@@ -81,11 +83,11 @@ def _unit_rows(column: pa.Array) -> dict[int, tuple[np.ndarray, np.ndarray]]:
 def _cell_kernel(most_bits: int):
     def kernel(t: pa.Table) -> pa.RecordBatch | None:
         rid, block = ints(t["rid"]), ints(t["block"])
-        s = np.stack([ints(t["s1"]), ints(t["s2"])], axis=1).view(U)
+        s = np.stack([ints(t[c]) for c in SIGNS], axis=1).view(U)
         same = ints(t["bi"])[0] == ints(t["bj"])[0]
         left = np.arange(len(rid)) if same else np.flatnonzero(block == ints(t["bi"])[0])
         right = left if same else np.flatnonzero(block != ints(t["bi"])[0])
-        apart = sum(np.bitwise_count(s[left, w][:, None] ^ s[right, w][None, :]).astype(np.int16) for w in (0, 1))
+        apart = sum(np.bitwise_count(s[left, w][:, None] ^ s[right, w][None, :]).astype(np.int16) for w in range(len(SIGNS)))
         i, j = np.nonzero(apart <= most_bits)
         u, v = star_edges(rid[left[i]].tolist(), rid[right[j]].tolist())
         return arrow_rows("u bigint, v bigint", {"u": u, "v": v}) if u else None
@@ -147,8 +149,8 @@ def near_duplicate_vectors(vectors: DataFrame, least: float = 0.9, tables: int =
     cells = classes.select("rid", "embedding").mapInArrow(decode, CELL)
     sizes = cells.groupBy("cell").agg(F.count("*").alias("size")).where("size > 1").select("cell", F.ceil(F.col("size") / BLOCK).cast("int").alias("n_blocks"))
     angle = np.arccos(least) / np.pi
-    most_bits = int(128 * angle + 6 * np.sqrt(128 * angle * (1 - angle)))
-    coarse = by_sorted_group(blocked_pairs(cells, ["cell"], sizes, "rid").select("cell", "bi", "bj", "rid", "block", "s1", "s2"), ["cell", "bi", "bj"], ["rid"], _cell_kernel(most_bits), "u bigint, v bigint")
+    most_bits = int(BITS * angle + 6 * np.sqrt(BITS * angle * (1 - angle)))
+    coarse = by_sorted_group(blocked_pairs(cells, ["cell"], sizes, "rid").select("cell", "bi", "bj", "rid", "block", *SIGNS), ["cell", "bi", "bj"], ["rid"], _cell_kernel(most_bits), "u bigint, v bigint")
     clusters = scratch.save(components_of_links(coarse).select(F.col("id").alias("rid"), F.col("component").alias("cluster")), "clusters")
     blocks = clusters.groupBy("cluster").agg(F.ceil(F.count("*") / BLOCK).cast("int").alias("n_blocks"))
     dealt = blocked_pairs(clusters, ["cluster"], blocks, "rid").join(classes, "rid")
