@@ -140,7 +140,7 @@ query("pr_tol_hop", _pagerank_sql("hop", "raw", 12, select="SELECT id, round(ran
 query("pr_residuals_hop")(lambda s, d: measures.residual_table(s, pagerank.pagerank_residuals(_g(s, d, "hop"), tol=1e-7)[1]))
 query("pr_partitioned_hop", _pagerank_sql("hop", "raw"))(lambda s, d: _ranks(pagerank.pagerank_partitioned(_g(s, d, "hop"))))
 query("pr_pull_hop", _pagerank_sql("hop", "raw"))(lambda s, d: _ranks(pagerank.pagerank_pull(_g(s, d, "hop"))))
-query("pr_blockgs_hop", _pagerank_sql("hop", "raw", 14, select="SELECT id, round(rank, 4) AS rank FROM r14"))(lambda s, d: pagerank.pagerank_block_sweeps(_g(s, d, "hop"), sweeps=18).select("id", F.round("rank", 4).alias("rank")))
+query("pr_blockgs_hop", _pagerank_sql("hop", "raw", 14, select="SELECT id, round(rank, 3) AS rank FROM r14"))(lambda s, d: pagerank.pagerank_block_sweeps(_g(s, d, "hop"), sweeps=10).select("id", F.round("rank", 3).alias("rank")))
 query("pr_leak", _pagerank_sql("trade", "raw"))(lambda s, d: _ranks(pagerank.pagerank(_g(s, d, "trade"))))
 query("pr_dangling", _pagerank_sql("trade", "raw", uniform=True))(lambda s, d: _ranks(pagerank.pagerank(_g(s, d, "trade"), dangling="uniform")))
 query("pr_d50", _pagerank_sql("hop", "raw", d=0.5))(lambda s, d: _ranks(pagerank.pagerank(_g(s, d, "hop"), d=0.5)))
