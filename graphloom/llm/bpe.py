@@ -20,11 +20,13 @@ import zlib
 from array import array
 from collections.abc import Iterator
 
+import numpy as np
 import pyarrow as pa
 import regex
 from pyspark.sql import DataFrame
 
-from graphloom.llm.common import arrow_rows, texts
+from graphloom.llm.common import arrow_rows, joined_bytes
+from graphloom.llm.shingles import _RAW_BYTE, U, word_hashes
 
 #: Spaces of Unicode, by which the vocabulary's normalizer and word pattern split. Fixed values.
 _SPACES = "\t\n\x0b\x0c\r \x85\xa0  -     　"
@@ -32,6 +34,14 @@ _ODD = regex.compile("[\x1c-\x1f]")  # str.split() takes these for spaces
 _RUN = regex.compile(f"[^{_SPACES}]+")
 #: Entries that a worker's memory of chunks holds before its older half is let go (a word's and prefix's memory: half of that).
 CACHE_CHUNKS = 600_000
+_SLOTS = 21  # bits of a slot of the chunk memory, which is emptied when 5/8 full
+
+
+def fold(text: str) -> str:
+    """Composed form, lower-cased symbol by symbol as the vocabulary's normalizer does (no final-sigma rule)."""
+    if not unicodedata.is_normalized("NFC", text):
+        text = unicodedata.normalize("NFC", text)
+    return text.lower() if "Σ" not in text else "".join([c.lower() for c in text])
 
 
 class Memory(dict):
@@ -46,12 +56,15 @@ class Memory(dict):
         if value is None:
             value = self.compute(key)
         if len(key) <= 40:
-            if len(self) >= self.most:
-                self.old = dict(self)
-                self.clear()
-            self[key] = value
+            self.keep(key, value)
         return value
 
+    def keep(self, key: str, value: bytes) -> None:
+        if len(self) >= self.most:
+            self.old = dict(self)
+            self.clear()
+        self[key] = value
+
 
 def byte_symbols() -> list[str]:
     """The printable stand-in of each byte in byte-level vocabularies."""
@@ -164,6 +177,221 @@ class TokenAutomaton:
         out.reverse()
         return out
 
+    # ---- the same transitions for many words at once ----
+
+    def _tables(self) -> None:
+        """Tokens of common bytes as a trie over their reversed bytes (a word's end first), and a direct-mapped memory of arcs."""
+        code = np.zeros(256, np.uint8)
+        common = [*b"abcdefghijklmnopqrstuvwxyz", 0xC3, *range(0x80, 0xC0)]
+        code[common] = np.arange(1, len(common) + 1)
+        byte_of = {c: b for b, c in enumerate(self.symbols)}
+        self.code, self.common, end = code, bytes(common), len(common) + 1
+        nodes: list[dict[int, int]] = [{}]
+        token = [-1]
+        for text, label in self.vocab.items():
+            body = text.removesuffix(self.end) or text
+            raw = bytes(byte_of[c] for c in body)
+            if raw.translate(None, self.common) or (self.width[label] > 1 and len(self.right[label]) == 1):
+                continue
+            path = ([end] if body != text else []) + [int(code[b]) for b in reversed(raw)]
+            at = 0
+            for c in path:
+                if c not in nodes[at]:
+                    nodes[at][c] = len(nodes)
+                    nodes.append({})
+                    token.append(-1)
+                at = nodes[at][c]
+            token[at] = label
+        self.next = np.zeros((len(nodes), end + 1), np.int32)
+        for at, arcs in enumerate(nodes):
+            for c, to in arcs.items():
+                self.next[at, c] = to
+        self.token, self.end_node = np.array(token, np.int32), int(self.next[0, end])
+        self.widths = np.array(self.width, np.int32)
+        self.arc_keys, self.arc_open = np.full(1 << 20, -1, np.int64), np.zeros(1 << 20, bool)
+
+    def _open(self, state: np.ndarray, label: np.ndarray) -> np.ndarray:
+        """arc() of many pairs."""
+        key = state.astype(np.int64) << 17 | label
+        slot = (key * -7046029254386353131 >> 44) & ((1 << 20) - 1)
+        ok = self.arc_open[slot]
+        miss = np.flatnonzero(self.arc_keys[slot] != key)
+        if len(miss):
+            fresh, back = np.unique(key[miss], return_inverse=True)
+            arcs, values = self.arcs, np.empty(len(fresh), bool)
+            for i, k in enumerate(fresh.tolist()):
+                value = arcs.get(k)
+                if value is None:
+                    value = arcs[k] = self.arc(k >> 17, k & 131071)
+                values[i] = value
+            ok[miss] = values[back]
+            self.arc_keys[slot[miss]], self.arc_open[slot[miss]] = key[miss], ok[miss]
+        return ok
+
+    def _advance(self, codes: np.ndarray, last: np.ndarray, i: int, rows: np.ndarray, node: int) -> None:
+        """Fill last[i] of the rows: walk the trie back from position i until the one open token is found."""
+        at = np.full(len(rows), node, np.int32)
+        for j in range(i - 1, -1, -1):
+            at = self.next[at, codes[j, rows]]
+            alive = at > 0
+            if not alive.all():
+                rows, at = rows[alive], at[alive]
+            if not len(rows):
+                return
+            label = self.token[at]
+            held = np.flatnonzero(label >= 0)
+            if len(held):
+                found = held if not j else held[self._open(last[j, rows[held]], label[held])]
+                last[i, rows[found]] = label[found]
+                rest = np.ones(len(rows), bool)
+                rest[found] = False
+                rows, at = rows[rest], at[rest]
+
+    def spell_many(self, words: list[bytes]) -> tuple[list[bytes], list[bytes]]:
+        """The words, longest first, and their ids: words of common bytes, each position of all words in one pass of array look-ups."""
+        if not hasattr(self, "next"):
+            self._tables()
+        words = sorted(words, key=len, reverse=True)
+        sizes = np.array([len(w) for w in words])
+        longest = int(sizes[0])
+        flat = np.frombuffer(b"".join([w.ljust(longest, b"\0") for w in words]), np.uint8)
+        codes = np.ascontiguousarray(self.code[flat].reshape(-1, longest).T)
+        last = np.full((longest + 1, len(words)), -1, np.int32)
+        for i in range(1, longest + 1):
+            inside, ending = int((sizes > i).sum()), int((sizes >= i).sum())
+            self._advance(codes, last, i, np.arange(inside), 0)
+            self._advance(codes, last, i, np.arange(inside, ending), self.end_node)
+        rows, place, steps = np.arange(len(words)), sizes.copy(), []
+        count = np.zeros(len(words), np.int64)
+        while len(rows):
+            label = last[place[rows], rows]
+            steps.append((rows, label))
+            count[rows] += 1
+            place[rows] -= self.widths[label]
+            rows = rows[place[rows] > 0]
+        stop = np.cumsum(count)
+        ids = np.empty(int(stop[-1]), np.uint32)
+        for k, (rows, label) in enumerate(steps):
+            ids[stop[rows] - 1 - k] = label
+        raw, bounds = ids.tobytes(), [0, *(4 * stop).tolist()]
+        return words, [raw[a:b] for a, b in zip(bounds, bounds[1:], strict=False)]
+
+    def _spell_chunks(self, chunks: list[str]) -> list[bytes]:
+        """Ids of runs without spaces; their new words of common bytes are spelt together."""
+        words = self.words
+        plain: list[tuple[str, str]] = []
+        fresh: dict[bytes, str] = {}
+        for chunk in chunks:
+            word = chunk.lower() if chunk.isascii() else fold(chunk)
+            tail = word[-1] if word[-1:] in (".", ",") else ""
+            word = word[:-1] if tail else word
+            if not word.isalpha() or len(word) > 24:
+                plain.append(("", chunk))
+                continue
+            plain.append((word, tail))
+            if word not in words and word not in words.old:
+                raw = word.encode("utf-8", "replace")
+                if not raw.translate(None, self.common):
+                    fresh[raw] = word
+        if fresh:
+            for raw, ids in zip(*self.spell_many(list(fresh)), strict=True):
+                words.keep(fresh[raw], ids)
+        return [(words[w] + words[x] if x else words[w]) if w else self._chunk(x) for w, x in plain]
+
+    def _forget(self) -> None:
+        """An empty memory of chunks: open addressing by hash, and a pool of their ids."""
+        self.chunk_keys = np.zeros(1 << _SLOTS, U)
+        self.chunk_at, self.chunk_len = np.zeros(1 << _SLOTS, np.int64), np.zeros(1 << _SLOTS, np.int64)
+        self.pool, self.pooled, self.held = np.zeros(1 << 20, np.uint32), 0, 0
+
+    def _find(self, hashes: np.ndarray) -> np.ndarray:
+        """Slot of each hash, -1 where it is not held."""
+        slot = (hashes >> U(64 - _SLOTS)).astype(np.int64)
+        out = np.full(len(hashes), -1, np.int64)
+        todo = np.arange(len(hashes))
+        while len(todo):
+            here = self.chunk_keys[slot[todo]]
+            hit = here == hashes[todo]
+            out[todo[hit]] = slot[todo[hit]]
+            todo = todo[~hit & (here != 0)]
+            slot[todo] = (slot[todo] + 1) & ((1 << _SLOTS) - 1)
+        return out
+
+    def _hold(self, hashes: np.ndarray, ids: list[bytes]) -> None:
+        size = np.array([len(x) // 4 for x in ids], np.int64)
+        flat = np.frombuffer(b"".join(ids), np.uint32)
+        while self.pooled + len(flat) > len(self.pool):
+            self.pool = np.concatenate([self.pool, np.zeros(len(self.pool), np.uint32)])
+        self.pool[self.pooled : self.pooled + len(flat)] = flat
+        at = self.pooled + np.cumsum(size) - size
+        self.pooled += len(flat)
+        self.held += len(ids)
+        slot = (hashes >> U(64 - _SLOTS)).astype(np.int64)
+        todo = np.arange(len(hashes))
+        while len(todo):
+            free = todo[self.chunk_keys[slot[todo]] == 0]
+            _, first = np.unique(slot[free], return_index=True)
+            put = free[first]
+            self.chunk_keys[slot[put]], self.chunk_at[slot[put]], self.chunk_len[slot[put]] = hashes[put], at[put], size[put]
+            left = np.ones(len(hashes), bool)
+            left[put] = False
+            todo = todo[left[todo]]
+            slot[todo] = (slot[todo] + (self.chunk_keys[slot[todo]] != 0)) & ((1 << _SLOTS) - 1)
+
+    def _encode_slice(self, data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Ids of some texts end to end and their n+1 offsets. Chunks are known by 64-bit hashes; new ones are spelt once."""
+        hashes, at, start, end = word_hashes(data, offsets, _RAW_BYTE)
+        hashes |= U(1)
+        slot = self._find(hashes)
+        miss = np.flatnonzero(slot < 0)
+        if len(miss):
+            new, first = np.unique(hashes[miss], return_index=True)
+            if self.held + len(new) > (1 << _SLOTS) * 5 // 8:
+                self._forget()
+                return self._encode_slice(data, offsets)
+            raw = data.tobytes()
+            where = miss[first]
+            self._hold(new, self._spell_chunks([raw[i:j].decode("utf-8", "replace") for i, j in zip(start[where].tolist(), end[where].tolist(), strict=True)]))
+            slot[miss] = self._find(hashes[miss])
+        size = self.chunk_len[slot]
+        before = np.r_[0, np.cumsum(size)]
+        take = np.repeat(self.chunk_at[slot] - before[:-1], size) + np.arange(before[-1])
+        return self.pool[take], before[at]
+
+    def encode_column(self, column: pa.Array) -> list[bytes]:
+        """encode() of a column of texts; nulls are empty. Texts with a special string go one by one."""
+        for memory in (self.states, self.arcs):
+            if len(memory) > CACHE_CHUNKS:
+                memory.clear()
+        if not hasattr(self, "next"):
+            self._tables()
+            self._forget()
+        data, offsets = joined_bytes(column)
+        out: list[bytes] = []
+        lo, n = 0, len(offsets) - 1
+        with np.errstate(over="ignore"):
+            while lo < n:
+                hi = max(lo + 1, int(np.searchsorted(offsets, offsets[lo] + (1 << 20), "right")) - 1)
+                cut = offsets[lo : hi + 1]
+                ids, bounds = self._encode_slice(data[cut[0] : cut[-1]], cut - cut[0])
+                raw, bounds = ids.tobytes(), (4 * bounds).tolist()
+                out += [raw[i:j] for i, j in zip(bounds, bounds[1:], strict=False)]
+                lo = hi
+        for k, text in self._with_specials(data, offsets):
+            out[k] = self.encode(text)
+        return out
+
+    def _with_specials(self, data: np.ndarray, offsets: np.ndarray) -> Iterator[tuple[int, str]]:
+        raw = data.tobytes() if self.special else b""
+        rows = set()
+        for special in self.special:
+            at = raw.find(special.encode())
+            while at >= 0:
+                rows.add(int(np.searchsorted(offsets, at, "right")) - 1)
+                at = raw.find(special.encode(), at + 1)
+        for k in sorted(rows):
+            yield k, raw[offsets[k] : offsets[k + 1]].decode("utf-8", "replace")
+
     def _whole(self, label: int) -> bool:
         """A token that merges can make, from the start state."""
         return len(self.right[label]) > 1 or self.width[label] == 1
@@ -182,7 +410,7 @@ class TokenAutomaton:
             if chunk[-1] in ".," and chunk[:-1].isalpha():
                 return words[chunk[:-1]] + words[chunk[-1]]
         else:
-            chunk = "".join([c.lower() for c in unicodedata.normalize("NFC", chunk)])
+            chunk = fold(chunk)
         return b"".join([words[w] for w in self.word.findall(chunk)])
 
     def _plain(self, text: str) -> bytes:
@@ -231,7 +459,7 @@ def encode_documents(docs: DataFrame, path: str, id_col: str = "doc_id", text_co
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         a = automaton(path)
         for b in batches:
-            yield arrow_rows(ENCODED, {"doc_id": b.column(0), "ids": [a.encode(t) for t in texts(b.column(1))]})
+            yield arrow_rows(ENCODED, {"doc_id": b.column(0), "ids": a.encode_column(b.column(1))})
 
     return docs.select(docs[id_col].cast("bigint"), docs[text_col]).mapInArrow(run, ENCODED)
 
@@ -259,8 +487,7 @@ def round_trip_digests(docs: DataFrame, path: str, id_col: str = "doc_id", text_
         a = automaton(path)
         for b in batches:
             out: dict[str, list] = {k: [] for k in ("n_tokens", "ids_sha256", "decoded_sha256", "ids_crc32")}
-            for t in texts(b.column(1)):
-                ids = a.encode(t)
+            for ids in a.encode_column(b.column(1)):
                 out["n_tokens"].append(len(ids) // 4)
                 out["ids_sha256"].append(hashlib.sha256(ids).hexdigest())
                 out["decoded_sha256"].append(hashlib.sha256(a.decode(ids)).hexdigest())

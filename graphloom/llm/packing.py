@@ -19,7 +19,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 
 from graphloom.llm.bpe import automaton
-from graphloom.llm.common import arrow_rows, texts
+from graphloom.llm.common import arrow_rows
 
 PIECES = "doc_id bigint, start bigint, length bigint, ids_crc32 bigint, doc_tokens bigint, sequence_id bigint, offset bigint"
 END_ID = 1
@@ -66,16 +66,41 @@ def difference(sizes: list[int], windows: int) -> list[list[int]]:
     return out + [[] for _ in range(windows - len(out))]
 
 
-def pack(sizes: list[int], capacity: int) -> list[list[int]]:
-    """The fewest near-equal windows found by differencing whose loads fit the capacity."""
+def pack(sizes: list[int], capacity: int, rises: int = 1) -> list[list[tuple[int, int, int]]]:
+    """Near-equal windows by differencing, as pieces (item, start, length).
+
+    The window count starts at the fewest that can hold the items and rises when the heaviest window
+    exceeds the capacity. After `rises` times what still exceeds it is cut off and fills the lightest
+    windows, so padding stays within rises + 1 windows.
+    """
     if not sizes:
         return []
     windows = -(-sum(sizes) // capacity)
-    while True:
-        dealt = difference(sizes, windows)
+    for extra in range(rises + 1):
+        dealt = [w for w in difference(sizes, windows + extra) if w]
         if max(sum(sizes[i] for i in w) for w in dealt) <= capacity:
-            return [w for w in dealt if w]
-        windows += 1
+            return [[(i, 0, sizes[i]) for i in w] for w in dealt]
+    out: list[list[tuple[int, int, int]]] = []
+    cut: list[tuple[int, int, int]] = []
+    for w in dealt:
+        own, load = [], 0
+        for i in sorted(w, key=lambda i: sizes[i]):
+            fits = min(sizes[i], capacity - load)
+            own.append((i, 0, fits))
+            load += fits
+            if fits < sizes[i]:
+                cut.append((i, fits, sizes[i] - fits))
+        out.append([p for p in own if p[2]])
+    room = sorted((capacity - sum(n for _, _, n in w), k) for k, w in enumerate(out))
+    for i, start, n in cut:
+        while n:
+            space, k = room.pop()
+            put = min(space, n)
+            out[k].append((i, start, put))
+            start, n = start + put, n - put
+            if space > put:
+                room.append((space - put, k))
+    return out
 
 
 def pack_documents(docs: DataFrame, path: str, capacity: int = 2048, block_windows: int = 200, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -98,10 +123,10 @@ def pack_documents(docs: DataFrame, path: str, capacity: int = 2048, block_windo
             nonlocal sequence, waiting
             for window in pack([len(r[2]) // 4 for r in rest], capacity):
                 offset = 0
-                for i in window:
+                for i, at, length in window:
                     doc, start, ids, total = rest[i]
-                    rows.append((doc, start, len(ids) // 4, zlib.crc32(ids), total, base + sequence, offset))
-                    offset += len(ids) // 4
+                    rows.append((doc, start + at, length, zlib.crc32(ids[4 * at : 4 * (at + length)]), total, base + sequence, offset))
+                    offset += length
                 sequence += 1
             out = arrow_rows(PIECES, dict(zip([f.split()[0] for f in PIECES.split(", ")], map(list, zip(*rows, strict=True)), strict=True)))
             rows.clear()
@@ -110,8 +135,8 @@ def pack_documents(docs: DataFrame, path: str, capacity: int = 2048, block_windo
             return out
 
         for b in batches:
-            for doc, text in zip(b.column(0).to_pylist(), texts(b.column(1)), strict=True):
-                ids = a.encode(text) + close
+            for doc, ids in zip(b.column(0).to_pylist(), a.encode_column(b.column(1)), strict=True):
+                ids += close
                 total, start = len(ids) // 4, 0
                 while total - start >= capacity:
                     piece = ids[4 * start : 4 * (start + capacity)]

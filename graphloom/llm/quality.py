@@ -67,13 +67,8 @@ def _fill(data: np.ndarray, offsets: np.ndarray, out: np.ndarray) -> None:
         sums = np.zeros(len(data) + 1, np.int64)
         np.cumsum(t[data], out=sums[1:])
         count[name] = sums[offsets[1:]] - sums[offsets[:-1]]
-    words, at = word_hashes(data, offsets)
+    words, at, start, end = word_hashes(data, offsets)
     n = np.diff(at)
-    solid = ~_CLASS["spaces"][data]
-    edge = np.zeros(len(data) + 1, bool)
-    edge[offsets] = True
-    before, after = np.r_[False, solid[:-1]], np.r_[solid[1:], False]
-    start, end = np.flatnonzero(solid & (~before | edge[:-1])), np.flatnonzero(solid & (~after | edge[1:])) + 1
     length = end - start
     tail_symbol = (_CLASS["symbols"] | _CLASS["marks"])[data[end - 1]] if len(end) else np.zeros(0, bool)
     capital = _CLASS["upper"][data[start]] if len(start) else np.zeros(0, bool)

@@ -30,6 +30,7 @@ def mix(x: np.ndarray) -> np.ndarray:
 
 with np.errstate(over="ignore"):
     _BYTE = mix(np.arange(1, 257, dtype=U) * U(0xD6E8FEB86659FD93))
+_RAW_BYTE = _BYTE.copy()
 _BYTE[65:91] = _BYTE[97:123]
 _SPACE = np.zeros(256, bool)
 _SPACE[[32, 9, 10, 11, 12, 13]] = True
@@ -45,11 +46,11 @@ def _power(n: int) -> tuple[np.ndarray, np.ndarray]:
     return _powers["up"][:n], _powers["down"][:n]
 
 
-def word_hashes(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Hash of each word, and the number of words before each text (n+1 numbers)."""
+def word_hashes(data: np.ndarray, offsets: np.ndarray, values: np.ndarray = _BYTE) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Hash of each word, the number of words before each text (n+1 numbers), and the words' starts and ends."""
     n = len(data)
     if not n:
-        return np.zeros(0, U), np.zeros(len(offsets), np.int64)
+        return np.zeros(0, U), np.zeros(len(offsets), np.int64), np.zeros(0, np.int64), np.zeros(0, np.int64)
     solid = ~_SPACE[data]
     first = np.zeros(n + 1, bool)
     first[offsets] = True
@@ -61,9 +62,9 @@ def word_hashes(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.n
     end = np.flatnonzero(solid & (~after | first[1:])) + 1
     up, down = _power(n)
     sums = np.zeros(n + 1, U)
-    np.cumsum(_BYTE[data] * up, out=sums[1:])
+    np.cumsum(values[data] * up, out=sums[1:])
     words = mix((sums[end] - sums[start]) * down[start] + (end - start).astype(U))
-    return words, np.searchsorted(start, offsets)
+    return words, np.searchsorted(start, offsets), start, end
 
 
 def shingle_sets(column: pa.Array, k: int) -> Iterator[np.ndarray]:
@@ -74,7 +75,7 @@ def shingle_sets(column: pa.Array, k: int) -> Iterator[np.ndarray]:
         while lo < n:
             hi = max(lo + 1, int(np.searchsorted(offsets, offsets[lo] + _SLICE, "right")) - 1)
             cut = offsets[lo : hi + 1]
-            words, at = word_hashes(data[cut[0] : cut[-1]], cut - cut[0])
+            words, at, _, _ = word_hashes(data[cut[0] : cut[-1]], cut - cut[0])
             rolled = np.zeros(max(0, len(words) - k + 1), U)
             for i in range(k):
                 rolled = rolled * U(0xC2B2AE3D27D4EB4F) + words[i : len(words) - k + 1 + i]
