@@ -40,24 +40,29 @@ def joined_bytes(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     return data[offsets[0] : offsets[-1]], offsets - offsets[0]
 
 
-def by_sorted_group(df: DataFrame, keys: list[str], order: list[str], kernel: Callable[[pa.Table], pa.RecordBatch | None], schema: str, partitions: int | None = None) -> DataFrame:
-    """Run kernel on each group of equal keys as an Arrow table, streaming over sorted partitions.
+def by_sorted_group(df: DataFrame, keys: list[str], order: list[str], kernel: Callable[[pa.Table], pa.RecordBatch | None], schema: str, least: int = 2) -> DataFrame:
+    """Run kernel on each group of at least `least` rows as an Arrow table, streaming over sorted partitions.
 
-    Cheaper than applyInArrow where most groups are tiny: one Python call for each group, none of
-    Spark's per-group plan and IPC cost. A group is held in memory whole, so callers bound it (blocked_pairs).
+    Cheaper than applyInArrow where most groups are tiny: smaller groups are passed over by array
+    operations, the others cost one Python call, and results are joined before they go back. A group is
+    held in memory whole, so callers bound it (blocked_pairs).
     """
-    cols = [F.col(k) for k in keys]
-    dealt = df.repartition(partitions, *cols) if partitions else df.repartition(*cols)
+    dealt = df.repartition(*[F.col(k) for k in keys]).sortWithinPartitions(*keys, *order)
     width = len(keys)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held: list[pa.Table] = []
+        held: list[pa.Table] = []  # the group that the next batch may go on with
         last = None
+        results: list[pa.RecordBatch] = []
 
-        def close():
-            out = kernel(pa.concat_tables(held) if len(held) > 1 else held[0])
-            held.clear()
-            return out
+        def close(t: pa.Table) -> None:
+            if t.num_rows >= least and (out := kernel(t)) is not None:
+                results.append(out)
+
+        def flush(rows: int) -> Iterator[pa.RecordBatch]:
+            if results and sum(r.num_rows for r in results) >= rows:
+                yield pa.concat_batches(results)
+                results.clear()
 
         for batch in batches:
             if not batch.num_rows:
@@ -65,18 +70,24 @@ def by_sorted_group(df: DataFrame, keys: list[str], order: list[str], kernel: Ca
             t = pa.Table.from_batches([batch])
             marks = np.stack([ints(batch.column(i)) for i in range(width)])
             cuts = np.flatnonzero((marks[:, 1:] != marks[:, :-1]).any(axis=0)) + 1
-            bounds = [0, *cuts.tolist(), batch.num_rows]
-            for lo, hi in zip(bounds, bounds[1:], strict=False):
-                key = tuple(marks[:, lo])
-                if held and key != last:
-                    if (out := close()) is not None:
-                        yield out
-                last = key
-                held.append(t.slice(lo, hi - lo))
-        if held and (out := close()) is not None:
-            yield out
-
-    return dealt.sortWithinPartitions(*keys, *order).mapInArrow(run, schema)
+            start, end = np.r_[0, cuts], np.r_[cuts, batch.num_rows]
+            if held and tuple(marks[:, 0]) != last:
+                close(pa.concat_tables(held))
+                held.clear()
+            if len(start) > 1:
+                close(pa.concat_tables([*held, t.slice(0, end[0])]))
+                held.clear()
+                inner = np.flatnonzero(end[1:-1] - start[1:-1] >= least) + 1
+                for lo, hi in zip(start[inner].tolist(), end[inner].tolist(), strict=True):
+                    close(t.slice(lo, hi - lo))
+            held.append(t.slice(start[-1], end[-1] - start[-1]))
+            last = tuple(marks[:, -1])
+            yield from flush(10_000)
+        if held:
+            close(pa.concat_tables(held))
+        yield from flush(1)
+
+    return dealt.mapInArrow(run, schema)
 
 
 def keep_by_score(docs: DataFrame, make: Callable[[], Callable[[pa.Array], np.ndarray]], passes: Callable[[np.ndarray], np.ndarray]) -> DataFrame:
