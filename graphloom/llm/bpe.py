@@ -19,6 +19,7 @@ import unicodedata
 import zlib
 from array import array
 from collections.abc import Iterator
+from contextlib import contextmanager
 
 import numpy as np
 import pyarrow as pa
@@ -33,8 +34,8 @@ _SPACES = "\t\n\x0b\x0c\r \x85\xa0  -     　"
 _ODD = regex.compile("[\x1c-\x1f]")  # str.split() takes these for spaces
 _RUN = regex.compile(f"[^{_SPACES}]+")
 #: Entries that a worker's memory of chunks holds before its older half is let go (a word's and prefix's memory: half of that).
-CACHE_CHUNKS = 600_000
-_SLOTS = 21  # bits of a slot of the chunk memory, which is emptied when 5/8 full
+CACHE_CHUNKS = 300_000
+_SLOTS = 20  # bits of a slot of the chunk memory, which is emptied when 5/8 full
 
 
 def fold(text: str) -> str:
@@ -91,10 +92,16 @@ class TokenAutomaton:
         self._special = regex.compile("(" + "|".join(map(regex.escape, self.special)) + ")") if self.special else None
         self._marks = tuple({s[:2] for s in self.special})
         self._compile([tuple(m) if isinstance(m, list) else tuple(m.split(" ")) for m in model["merges"]])
-        self.arcs: dict[int, bool] = {}
+        self.release()
+
+    def release(self) -> None:
+        """Let go of the memories: of chunks' ids, words' ids, states by prefix, and expanded arcs. Workers idle on after their task."""
         self.cache = Memory(self._chunk, CACHE_CHUNKS)
         self.words = Memory(self._word, CACHE_CHUNKS // 2)
-        self.states: dict[str, int] = {}  # the state that each prefix reaches
+        self.states: dict[str, int] = {}
+        if len(getattr(self, "arcs", ())) > CACHE_CHUNKS or not hasattr(self, "arcs"):
+            self.arcs: dict[int, bool] = {}
+        self.pool = None
 
     def _compile(self, merges: list[tuple[str, str]]) -> None:
         size, never = len(self.labels), len(merges) + 1
@@ -365,6 +372,7 @@ class TokenAutomaton:
                 memory.clear()
         if not hasattr(self, "next"):
             self._tables()
+        if self.pool is None:
             self._forget()
         data, offsets = joined_bytes(column)
         out: list[bytes] = []
@@ -443,6 +451,16 @@ def automaton(path: str) -> TokenAutomaton:
     return _LOADED[path]
 
 
+@contextmanager
+def borrowed(path: str) -> Iterator[TokenAutomaton]:
+    """The worker's automaton for one task; its memories are let go at the end."""
+    a = automaton(path)
+    try:
+        yield a
+    finally:
+        a.release()
+
+
 def vocabulary(name: str = "word_bpe_49k.json") -> str:
     import public_tokenizers
 
@@ -457,9 +475,9 @@ def encode_documents(docs: DataFrame, path: str, id_col: str = "doc_id", text_co
     """(doc_id, ids): ids of each whole text as packed 32-bit integers. Null texts are empty; narrow, one row each."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        a = automaton(path)
-        for b in batches:
-            yield arrow_rows(ENCODED, {"doc_id": b.column(0), "ids": a.encode_column(b.column(1))})
+        with borrowed(path) as a:
+            for b in batches:
+                yield arrow_rows(ENCODED, {"doc_id": b.column(0), "ids": a.encode_column(b.column(1))})
 
     return docs.select(docs[id_col].cast("bigint"), docs[text_col]).mapInArrow(run, ENCODED)
 
@@ -484,14 +502,14 @@ def round_trip_digests(docs: DataFrame, path: str, id_col: str = "doc_id", text_
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        a = automaton(path)
-        for b in batches:
-            out: dict[str, list] = {k: [] for k in ("n_tokens", "ids_sha256", "decoded_sha256", "ids_crc32")}
-            for ids in a.encode_column(b.column(1)):
-                out["n_tokens"].append(len(ids) // 4)
-                out["ids_sha256"].append(hashlib.sha256(ids).hexdigest())
-                out["decoded_sha256"].append(hashlib.sha256(a.decode(ids)).hexdigest())
-                out["ids_crc32"].append(zlib.crc32(ids))
-            yield arrow_rows(DIGESTS, {"doc_id": b.column(0), **out})
+        with borrowed(path) as a:
+            for b in batches:
+                out: dict[str, list] = {k: [] for k in ("n_tokens", "ids_sha256", "decoded_sha256", "ids_crc32")}
+                for ids in a.encode_column(b.column(1)):
+                    out["n_tokens"].append(len(ids) // 4)
+                    out["ids_sha256"].append(hashlib.sha256(ids).hexdigest())
+                    out["decoded_sha256"].append(hashlib.sha256(a.decode(ids)).hexdigest())
+                    out["ids_crc32"].append(zlib.crc32(ids))
+                yield arrow_rows(DIGESTS, {"doc_id": b.column(0), **out})
 
     return docs.select(docs[id_col].cast("bigint"), docs[text_col]).mapInArrow(run, DIGESTS)

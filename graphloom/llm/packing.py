@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark import TaskContext
 from pyspark.sql import DataFrame
 
-from graphloom.llm.bpe import automaton
+from graphloom.llm.bpe import borrowed
 from graphloom.llm.common import arrow_rows
 
 PIECES = "doc_id bigint, start bigint, length bigint, ids_crc32 bigint, doc_tokens bigint, sequence_id bigint, offset bigint"
@@ -111,7 +111,6 @@ def pack_documents(docs: DataFrame, path: str, capacity: int = 2048, block_windo
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        a = automaton(path)
         close = END_ID.to_bytes(4, "little")
         base = TaskContext.get().partitionId() << 33
         sequence = 0
@@ -134,21 +133,22 @@ def pack_documents(docs: DataFrame, path: str, capacity: int = 2048, block_windo
             waiting = 0
             return out
 
-        for b in batches:
-            for doc, ids in zip(b.column(0).to_pylist(), a.encode_column(b.column(1)), strict=True):
-                ids += close
-                total, start = len(ids) // 4, 0
-                while total - start >= capacity:
-                    piece = ids[4 * start : 4 * (start + capacity)]
-                    rows.append((doc, start, capacity, zlib.crc32(piece), total, base + sequence, 0))
-                    sequence += 1
-                    start += capacity
-                if start < total:
-                    rest.append((doc, start, ids[4 * start :], total))
-                    waiting += total - start
-                if waiting >= block_windows * capacity:
-                    yield settle()
-        if rows or rest:
-            yield settle()
+        with borrowed(path) as a:
+            for b in batches:
+                for doc, ids in zip(b.column(0).to_pylist(), a.encode_column(b.column(1)), strict=True):
+                    ids += close
+                    total, start = len(ids) // 4, 0
+                    while total - start >= capacity:
+                        piece = ids[4 * start : 4 * (start + capacity)]
+                        rows.append((doc, start, capacity, zlib.crc32(piece), total, base + sequence, 0))
+                        sequence += 1
+                        start += capacity
+                    if start < total:
+                        rest.append((doc, start, ids[4 * start :], total))
+                        waiting += total - start
+                    if waiting >= block_windows * capacity:
+                        yield settle()
+            if rows or rest:
+                yield settle()
 
     return docs.select(docs[id_col].cast("bigint"), docs[text_col]).mapInArrow(run, PIECES)
