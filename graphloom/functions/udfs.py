@@ -9,18 +9,19 @@ import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import DoubleType, LongType, StructType  # objects: a DDL string would need a session at import
 
 from graphloom.functions.kernels import common_counts
 from graphloom.sources.generators import UrandSource
 
 
-@F.arrow_udf("bigint")
+@F.arrow_udf(LongType())
 def intersect_count_arrow(a: pa.Array, b: pa.Array) -> pa.Array:
     """Common members of two sorted neighbour lists, by binary search in Arrow buffers."""
     return pa.array(common_counts(a, b))
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(DoubleType())
 def entropy(n: pd.Series) -> float:
     """Shannon entropy of counts (grouped aggregate; a group must fit a task)."""
     p = n.to_numpy(float)
@@ -28,7 +29,7 @@ def entropy(n: pd.Series) -> float:
     return float(-(p * np.log(p)).sum())
 
 
-@F.udtf(returnType="src bigint, dst bigint")
+@F.udtf(returnType=StructType().add("src", LongType()).add("dst", LongType()))
 class Arcs:
     """Table function: a vertex and its neighbour list to arcs."""
 

@@ -35,3 +35,12 @@ def test_entry(spark):
 
 def test_every_oracle_has_a_query():
     assert set(entry.oracle_sql()) <= set(entry.queries())
+
+
+def test_registries_need_no_session():
+    import subprocess
+    import sys
+    from pathlib import Path
+
+    code = "import __spark_entry__ as e; assert len(e.queries()) > 250 and len(e.oracle_sql()) > 230"
+    subprocess.run([sys.executable, "-c", code], cwd=Path(entry.__file__).parent, check=True)
