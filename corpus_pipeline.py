@@ -30,8 +30,8 @@ def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Repeated lines go, and with them documents that had text and are left with none."""
-    cleaned = remove_repeated_lines(docs)
+    """Repeated lines go, short ones too, and with them documents that had text and are left with none."""
+    cleaned = remove_repeated_lines(docs, short=True)
     emptied = (F.col("n_removed") > 0) & (F.trim(F.regexp_replace("text", r"\s+", " ")) == "")
     return cleaned.where(~F.coalesce(emptied, F.lit(False))).withColumn("n_chars", F.length("text").cast("bigint")).select(*docs.columns)
 

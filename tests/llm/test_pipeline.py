@@ -24,5 +24,12 @@ def test_copies_go_and_others_stay(make_docs, spark, sf):
     assert {r.doc_id for r in pipeline.minhash(spark, docs, sf).collect()} == {0, 3, 4, 5}
 
 
+def test_copy_with_a_short_line_goes(make_docs, spark, sf):
+    long = "a line of more than twelve symbols\n"
+    docs = make_docs([long + "Les.", long + "Les.", "Les.\nanother line that stands here", "Short.", None])
+    got = {r.doc_id: r.text for r in pipeline.line_dedup(spark, docs, sf).collect()}
+    assert got == {0: long + "Les.", 2: "another line that stands here", 3: "Short.", 4: None}
+
+
 def test_run(spark, sf):
     assert pipeline.run(spark, sf).count() > 0
