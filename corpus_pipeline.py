@@ -37,9 +37,20 @@ def line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def minhash(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group of near-duplicates stays: five-word shingles, similarity of 0.8 or more."""
-    groups = near_duplicate_components(docs, k=5, numerator=80, denominator=100)
-    return docs.join(groups.where("kept").select("doc_id").distinct(), "doc_id", "left_semi").select(*docs.columns)
+    """One document of each group of near-duplicates stays: five-word shingles, similarity of 0.8 or more.
+
+    Rows are decided one by one: where ids are null or repeat, rows are numbered in the order of doc_id,
+    null ones last, and the numbers stand for the ids.
+    """
+    rows, ids = docs.agg(F.count("*"), F.count_distinct("doc_id")).first()
+    if rows == ids:
+        groups = near_duplicate_components(docs, k=5, numerator=80, denominator=100)
+        return docs.join(groups.where("kept").select("doc_id"), "doc_id", "left_semi").select(*docs.columns)
+    row = f"row_{uuid.uuid4().hex}"  # no column of docs
+    ordered = docs.orderBy(F.col("doc_id").asc_nulls_last(), "text").withColumn(row, F.monotonically_increasing_id())
+    numbered = Scratch(docs.sparkSession, "rows").save(ordered, "numbered")
+    groups = near_duplicate_components(numbered.select(F.col(row).alias("doc_id"), "text"), k=5, numerator=80, denominator=100)
+    return numbered.join(groups.where("kept").select(F.col("doc_id").alias(row)), row, "left_semi").select(*docs.columns)
 
 
 def packing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -1,5 +1,7 @@
 """The pipeline's stages: what they drop, what they keep, and their columns."""
 
+from pyspark.sql import functions as F
+
 import corpus_pipeline as pipeline
 
 
@@ -31,5 +33,16 @@ def test_copy_with_a_short_line_goes(make_docs, spark, sf):
     assert got == {0: long + "Les.", 2: "another line that stands here", 3: "Short.", 4: None}
 
 
+def test_null_and_repeated_ids_are_decided_by_row(make_docs, spark, sf):
+    def words(name):
+        return " ".join(f"{name}{i}" for i in range(100))
+
+    docs = make_docs([words("a"), words("b"), words("c"), words("d"), words("d"), words("e"), words("e")])
+    docs = docs.unionByName(docs.where("doc_id = 0")).unionByName(make_docs([words("f")], start=1))
+    null = F.when(~F.col("doc_id").isin(2, 4, 5, 6), F.col("doc_id"))
+    got = pipeline.minhash(spark, docs.withColumn("doc_id", null), sf).collect()
+    assert sorted((r.doc_id is None, r.doc_id or 0, r.text[0]) for r in got) == [(False, 0, "a"), (False, 1, "b"), (False, 1, "f"), (False, 3, "d"), (True, 0, "c"), (True, 0, "e")]
+
+
 def test_run(spark, sf):
     assert pipeline.run(spark, sf).count() > 0
