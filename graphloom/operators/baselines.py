@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Callable, Iterator
+from itertools import count
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -70,16 +71,17 @@ def ghost_bfs(g: Graph, source: int, parts: int = 4) -> DataFrame:
         state = scratch.save(state.union(kept), "state")
 
 
-def vertex_program(g: Graph, init: DataFrame, send: Callable[[DataFrame], DataFrame], merge, apply: Callable[[DataFrame], DataFrame], supersteps: int) -> DataFrame:
+def vertex_program(g: Graph, init: DataFrame, send: Callable[[DataFrame], DataFrame], merge, apply: Callable[[DataFrame], DataFrame], supersteps: int | None, settle: bool = False) -> DataFrame:
     """Vertex-centric supersteps with a barrier and a checkpoint each.
 
     init: (id, value, active). send: joined (src, value, dst[, ...]) -> (id, message). merge: an
-    aggregate of message. apply: (id, value, message) -> (id, value, active). Ends when none is active.
+    aggregate of message. apply: (id, value, message) -> (id, value, active). Ends when none is active,
+    or after so many supersteps (None: no bound); with settle it raises if some are active then.
     """
     scratch = Scratch(g.edges.sparkSession, "vprog")
     edges = scratch.save(g.edges, "edges")
     state = scratch.save(init, "state")
-    for _ in range(supersteps):
+    for _ in count() if supersteps is None else range(supersteps):
         sent = send(state.where("active").select(F.col("id").alias("src"), "value").join(edges, "src"))
         got = sent.groupBy("id").agg(merge(F.col("message")).alias("message"))
         new, seen = observed(apply(state.join(got, "id", "left")).select("id", "value", "active"), scratch, "state", n=F.count_if("active"))
@@ -87,15 +89,18 @@ def vertex_program(g: Graph, init: DataFrame, send: Callable[[DataFrame], DataFr
         state = new
         if not seen["n"]:
             break
+    else:
+        if settle:
+            raise RuntimeError("vertex program did not settle")
     return state.select("id", "value")
 
 
-def vertex_program_bfs(g: Graph, source: int, supersteps: int = 100) -> DataFrame:
-    """(id, level) as a vertex program."""
+def vertex_program_bfs(g: Graph, source: int, supersteps: int | None = None) -> DataFrame:
+    """(id, level) as a vertex program, until no vertex is active; raises if a bound on supersteps ends it before."""
     init = g.vertices().select("id", F.when(F.col("id") == source, 0).alias("value"), (F.col("id") == source).alias("active"))
     better = F.col("message").isNotNull() & (F.col("value").isNull() | (F.col("message") < F.col("value")))
     return vertex_program(
-        g, init, lambda j: j.select(F.col("dst").alias("id"), (F.col("value") + 1).alias("message")), F.min, lambda s: s.select("id", F.when(better, F.col("message")).otherwise(F.col("value")).alias("value"), F.coalesce(better, F.lit(False)).alias("active")), supersteps
+        g, init, lambda j: j.select(F.col("dst").alias("id"), (F.col("value") + 1).alias("message")), F.min, lambda s: s.select("id", F.when(better, F.col("message")).otherwise(F.col("value")).alias("value"), F.coalesce(better, F.lit(False)).alias("active")), supersteps, settle=True
     ).where("value is not null").select("id", F.col("value").alias("level"))
 
 

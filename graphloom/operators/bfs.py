@@ -9,6 +9,7 @@ from __future__ import annotations
 
 from collections.abc import Iterator
 from functools import reduce
+from itertools import count
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -102,11 +103,12 @@ def _settle_block(table: pa.Table) -> dict[int, int]:
     return level
 
 
-def bfs_async_blocks(g: Graph, source: int, parts: int = 4, max_rounds: int = 200) -> DataFrame:
+def bfs_async_blocks(g: Graph, source: int, parts: int = 4, max_rounds: int | None = None) -> DataFrame:
     """Levels by local fixpoints: each block relaxes its own arcs until nothing improves, then offers along cut arcs are exchanged.
 
     Fewer exchanges than levels where paths run inside blocks; parents are the least predecessor one
-    level up, found at the end, so that the tree equals bfs(). A block's arcs must fit a task.
+    level up, found at the end, so that the tree equals bfs(). A block's arcs must fit a task. Rounds go
+    on until nothing improves; if max_rounds are not enough for that, it raises.
     """
     spark = g.edges.sparkSession
     scratch = Scratch(spark, "bfsblocks")
@@ -120,7 +122,7 @@ def bfs_async_blocks(g: Graph, source: int, parts: int = 4, max_rounds: int = 20
         return pa.table({"id": pa.array(list(got), pa.int64()), "level": pa.array(list(got.values()), pa.int64())})
 
     mark = None
-    for _ in range(max_rounds):
+    for _ in count() if max_rounds is None else range(max_rounds):
         offers = cut.join(levels.withColumnRenamed("id", "src"), "src").select(F.col("dst").alias("id"), (F.col("level") + 1).alias("level"))
         merged = levels.union(offers).groupBy("id").agg(F.min("level").alias("level"))
         state = merged.select(owner(F.col("id"), parts).alias("p"), F.lit(0).alias("kind"), F.col("id").alias("a"), F.col("level").alias("b"))
@@ -130,6 +132,8 @@ def bfs_async_blocks(g: Graph, source: int, parts: int = 4, max_rounds: int = 20
         if (seen["n"], seen["s"]) == mark:
             break
         mark = (seen["n"], seen["s"])
+    else:
+        raise RuntimeError("levels did not settle")
     up = e.select("src", "dst").join(levels.toDF("src", "ls"), "src").join(levels.toDF("dst", "ld"), "dst").where("ld = ls + 1")
     parents = up.groupBy(F.col("dst").alias("id")).agg(F.min("src").alias("parent"))
     return levels.join(parents, "id", "left").select("id", F.coalesce("parent", "id").alias("parent"), F.col("level").cast("int").alias("level"))

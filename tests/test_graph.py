@@ -119,6 +119,17 @@ def test_bfs_variants(spark):
     assert {(r.id, r.component) for r in bfs.components(g).collect()} == {(0, 0), (1, 0), (2, 0), (3, 0), (4, 0), (7, 7), (8, 7)}
 
 
+def test_bfs_variants_on_a_deep_path(spark):
+    n = 104
+    g = graph(spark, [(i, i + 1) for i in range(n)])
+    assert {tuple(r) for r in baselines.vertex_program_bfs(g, 0).collect()} == {(i, i) for i in range(n + 1)}
+    short = graph(spark, [(i, i + 1) for i in range(30)])
+    for cut in (lambda: bfs.bfs_async_blocks(short, 0, max_rounds=4), lambda: baselines.vertex_program_bfs(short, 0, supersteps=4)):
+        with pytest.raises(RuntimeError):
+            cut()
+    assert {(r.id, r.level) for r in bfs.bfs_async_blocks(short, 0).collect()} == {(i, i) for i in range(31)}
+
+
 def test_components_of_a_long_chain(spark):
     n = 200
     g = graph(spark, [(i * 7919 % 1009, (i + 1) * 7919 % 1009) for i in range(n)])
