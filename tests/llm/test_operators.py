@@ -298,6 +298,26 @@ def test_line_dedup_equals_brute_force(make_docs, distance):
         assert got[i].text == "\n".join(x for k, x in enumerate(t.split("\n")) if (i, k) not in drop)
 
 
+def test_long_lines_with_edits_in_proportion_go(make_docs):
+    rng = random.Random(6)
+    letters = "abcdefghijklmnopqrstuvwxyz"
+    base = ["x" + "".join(rng.choices(letters, k=rng.randint(60, 900))) + "x" for _ in range(300)]
+
+    def edited(line, edits):
+        line = list(line)
+        for k in range(edits):  # evenly spread, the hardest case
+            line[(2 * k + 1) * len(line) // (2 * edits)] = "#"
+        return "".join(line)
+
+    most = [len(x) // lines.SYMBOLS_PER_EDIT for x in base]
+    near = [edited(x, m) for x, m in zip(base, most, strict=True)]
+    shifted = ["y" * (m // 2) + x[: -(m // 2)] for x, m in zip(base, most, strict=True)]
+    far = [edited(x, 2 * m + 2) for x, m in zip(base, most, strict=True)]
+    for copies, least, greatest in ((near, 0.98, 1), (shifted, 0.98, 1), (far, 0, 0)):
+        got = lines.remove_repeated_lines(make_docs(base + copies)).where("doc_id >= 300").collect()
+        assert least <= sum(r.n_removed for r in got) / 300 <= greatest
+
+
 def test_line_dedup_on_odd_tables(odd_docs, no_docs):
     got = lines.remove_repeated_lines(odd_docs)
     assert got.count() == odd_docs.count()
