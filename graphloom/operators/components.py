@@ -3,13 +3,15 @@
 Each partition first replaces its links by the stars of its own union-find forest (narrow, no
 exchange). The rounds then point every vertex at the smallest id it sees: first the larger
 neighbours, then the smaller ones. All exchanged aggregates are minima, so Catalyst combines them
-before the shuffle, and a hub is one partial row per task. Round tables go to the shared scratch.
+before the shuffle, and a hub is one partial row per task. Where a vertex' links meet its minimum both
+sides are plain exchanges, so adaptive execution may split a hub. Round tables go to the shared scratch.
 """
 
 from __future__ import annotations
 
 from collections.abc import Iterator
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -21,46 +23,56 @@ _FLUSH = 500_000
 
 
 def star_edges(left, right) -> tuple[list[int], list[int]]:
-    """Links -> (member, smallest member) of each local component, by union-find."""
-    parent: dict[int, int] = {}
+    """Links -> (member, smallest member) of each local component, by hooking roots and jumping pointers over arrays."""
+    left, right = np.asarray(left, np.int64), np.asarray(right, np.int64)
+    ids, at = np.unique(np.concatenate([left, right]), return_inverse=True)
+    a, b = at[: len(left)], at[len(left) :]
+    low = np.arange(len(ids))
+    while True:
+        x, y = low[a], low[b]
+        apart = x != y
+        if not apart.any():
+            break
+        a, b, x, y = a[apart], b[apart], x[apart], y[apart]
+        np.minimum.at(low, np.maximum(x, y), np.minimum(x, y))
+        while (further := low[low]).tobytes() != low.tobytes():
+            low = further
+    members = np.flatnonzero(low != np.arange(len(ids)))
+    return ids[members].tolist(), ids[low[members]].tolist()
+
 
-    def find(x: int) -> int:
-        root = x
-        while (p := parent.setdefault(root, root)) != root:
-            root = p
-        while parent[x] != root:
-            parent[x], x = root, parent[x]
-        return root
+def _contract(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    held: list[np.ndarray] = []
+    rows = 0
 
-    for a, b in zip(left, right, strict=True):
-        ra, rb = find(a), find(b)
-        if ra != rb:
-            parent[max(ra, rb)] = min(ra, rb)
-    members = [x for x in parent if find(x) != x]
-    return members, [find(x) for x in members]
+    def stars() -> np.ndarray:
+        u, v = np.concatenate(held, axis=1)
+        return np.array(star_edges(u, v), np.int64).reshape(2, -1)
 
+    def batch(x: np.ndarray) -> pa.RecordBatch:
+        return pa.RecordBatch.from_arrays([pa.array(x[0]), pa.array(x[1])], names=["u", "v"])
 
-def _contract(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    us: list[int] = []
-    vs: list[int] = []
     for b in batches:
-        us += b.column(0).to_pylist()
-        vs += b.column(1).to_pylist()
-        if len(us) >= _FLUSH:
-            us, vs = star_edges(us, vs)
-            if len(us) >= _FLUSH // 2:
-                yield pa.RecordBatch.from_pydict({"u": pa.array(us, pa.int64()), "v": pa.array(vs, pa.int64())})
-                us, vs = [], []
-    us, vs = star_edges(us, vs)
-    if us:
-        yield pa.RecordBatch.from_pydict({"u": pa.array(us, pa.int64()), "v": pa.array(vs, pa.int64())})
+        if b.num_rows:
+            held.append(np.stack([b.column(i).to_numpy(zero_copy_only=False) for i in range(2)]))
+            rows += b.num_rows
+        if rows >= _FLUSH:
+            held = [stars()]
+            rows = held[0].shape[1]
+            if rows >= _FLUSH // 2:
+                yield batch(held[0])
+                held, rows = [], 0
+    if rows:
+        yield batch(stars())
 
 
 def _star(edges: DataFrame, both: bool) -> DataFrame:
     """One star rewrite. both: towards the larger neighbours (large star), else the smaller ones."""
     pairs = edges.union(edges.select("v", "u")) if both else edges
     low = pairs.groupBy("u").agg(F.min("v").alias("m")).select(F.col("u").alias("k"), F.least("u", "m").alias("m"))
-    joined = pairs.join(low, pairs.u == low.k)
+    # by the inverted id: else the minima keep the layout of their aggregate, and a join on that is never split
+    met = low.select(F.bitwise_not("k").alias("x"), "m")
+    joined = pairs.join(met, F.bitwise_not(pairs.u) == met.x)
     if both:
         out = joined.where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v"))
     else:
@@ -90,4 +102,6 @@ def components_of_links(links: DataFrame, max_rounds: int = 60) -> DataFrame:
         seen = mark
     else:
         raise RuntimeError("components did not settle")
-    return edges.select(F.col("u").alias("id"), F.col("v").alias("component")).union(edges.select("v", "v").distinct())
+    out = edges.select(F.col("u").alias("id"), F.col("v").alias("component")).union(edges.select("v", "v").distinct())
+    out._scratch_path = edges._scratch_path  # the caller may drop it
+    return out
