@@ -2,15 +2,39 @@
 
 from __future__ import annotations
 
+import ctypes
+import gc
 from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.types import StructField, StructType
 
 
+def lean(run: Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]):
+    """run, after which the Python worker hands its free memory back: workers idle on beside the next task's."""
+
+    def held(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        try:
+            yield from run(batches)
+        finally:
+            trim()
+
+    return held
+
+
+def trim() -> None:
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+    except (OSError, AttributeError):  # another C library
+        pass
+
+
 def table(spark, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
@@ -31,6 +55,18 @@ def texts(column: pa.Array) -> list[str]:
     return [x or "" for x in column.to_pylist()]
 
 
+def slices(b: pa.RecordBatch, text_at: int, most: int = 4 << 20) -> Iterator[pa.RecordBatch]:
+    """The rows of a batch, some at a time: texts of about `most` bytes, or one longer text."""
+    if not b.num_rows:
+        return
+    ends = np.cumsum(ints(pc.fill_null(pc.binary_length(b.column(text_at)), 0)).astype(np.int64) + 1)
+    lo = 0
+    while lo < b.num_rows:
+        hi = max(lo + 1, int(np.searchsorted(ends, (ends[lo - 1] if lo else 0) + most, "right")))
+        yield b.slice(lo, hi - lo)
+        lo = hi
+
+
 def joined_bytes(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     """All bytes of a string column end to end, and the n+1 offsets; nulls are empty."""
     column = column.cast(pa.large_binary()).fill_null(b"")
@@ -87,7 +123,59 @@ def by_sorted_group(df: DataFrame, keys: list[str], order: list[str], kernel: Ca
             close(pa.concat_tables(held))
         yield from flush(1)
 
-    return dealt.mapInArrow(run, schema)
+    return dealt.mapInArrow(lean(run), schema)
+
+
+def by_sorted_groups(df: DataFrame, keys: list[str], order: list[str], kernel: Callable[[pa.Table, np.ndarray, np.ndarray], pa.RecordBatch | None], schema: str) -> DataFrame:
+    """Run kernel on many whole groups at once: an Arrow table and the groups' starts and ends in it.
+
+    For groups so small that a call for each would cost more than its work. Groups end with a batch or wait
+    for the next one, so callers bound them (blocked_pairs).
+    """
+    dealt = df.repartition(*[F.col(k) for k in keys]).sortWithinPartitions(*keys, *order)
+    width = len(keys)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: list[pa.Table] = []
+        for batch in _and_none(batches):
+            if batch is not None and not batch.num_rows:
+                continue
+            t = pa.concat_tables([*held, *([pa.Table.from_batches([batch])] if batch is not None else [])]).combine_chunks() if held or batch is not None else None
+            if t is None or not t.num_rows:
+                return
+            marks = np.stack([ints(t.column(i)) for i in range(width)])
+            start = np.r_[0, np.flatnonzero((marks[:, 1:] != marks[:, :-1]).any(axis=0)) + 1]
+            end = np.r_[start[1:], t.num_rows]
+            if batch is not None:  # the last group may go on
+                held = [t.slice(start[-1])]
+                start, end = start[:-1], end[:-1]
+            several = end - start > 1
+            if several.any() and (out := kernel(t, start[several], end[several])) is not None:
+                yield out
+
+    return dealt.mapInArrow(lean(run), schema)
+
+
+def _and_none(items: Iterator) -> Iterator:
+    yield from items
+    yield None
+
+
+def pairs_within(start: np.ndarray, end: np.ndarray, most: int = 1_000_000) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """All (i, j), i < j, of rows of the same group, about `most` at a time or those of one row."""
+    size = end - start
+    row = np.repeat(start - np.r_[0, np.cumsum(size)[:-1]], size) + np.arange(size.sum())
+    count = np.repeat(end, size) - 1 - row  # partners after each row
+    row, count = row[count > 0], count[count > 0]
+    total = np.cumsum(count)
+    lo = 0
+    while lo < len(row):
+        before = total[lo - 1] if lo else 0
+        hi = max(lo + 1, int(np.searchsorted(total, before + most, "right")))
+        n = count[lo:hi]
+        i = np.repeat(row[lo:hi], n)
+        yield i, i + 1 + np.arange(len(i)) - np.repeat(np.cumsum(n) - n, n)
+        lo = hi
 
 
 def keep_by_score(docs: DataFrame, make: Callable[[], Callable[[pa.Array], np.ndarray]], passes: Callable[[np.ndarray], np.ndarray]) -> DataFrame:
@@ -96,11 +184,12 @@ def keep_by_score(docs: DataFrame, make: Callable[[], Callable[[pa.Array], np.nd
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         score = make()
-        for b in batches:
-            yield b.filter(pa.array(passes(score(b.column(text_at)))))
+        for batch in batches:
+            for b in slices(batch, text_at):
+                yield b.filter(pa.array(passes(score(b.column(text_at)))))
 
     inner = StructType([StructField(f"c{i}", f.dataType) for i, f in enumerate(docs.schema.fields)])
-    return docs.toDF(*inner.names).mapInArrow(run, inner).toDF(*docs.columns)
+    return docs.toDF(*inner.names).mapInArrow(lean(run), inner).toDF(*docs.columns)
 
 
 def blocked_pairs(df: DataFrame, group: list[str], blocks: DataFrame, member: str) -> DataFrame:

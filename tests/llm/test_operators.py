@@ -235,8 +235,11 @@ def test_differencing_is_nearly_even():
     assert max(loads) - min(loads) <= 20
     for capacity in (1000, 1024, 2048):
         windows = packing.pack(sizes, capacity)
-        assert all(sum(n for _, _, n in w) <= capacity for w in windows) and len(windows) <= -(-sum(sizes) // capacity) + 1
-        assert sum(n for w in windows for _, _, n in w) == sum(sizes)
+        assert sorted(i for w in windows for i in w) == list(range(200))
+        assert all(sum(sizes[i] for i in w) <= capacity for w in windows) and len(windows) <= 1.1 * sum(sizes) / capacity + 2
+    # the count rises as often as it must: items over half the capacity need a window each
+    assert len(packing.pack([600] * 50, 1000)) == 50
+    assert packing.pack([], 10) == []
 
 
 # ---- 6 -----------------------------------------------------------------------------------------
@@ -325,6 +328,23 @@ def test_line_dedup_on_odd_tables(odd_docs, no_docs):
     assert lines.remove_repeated_lines(no_docs).count() == 0
 
 
+def test_line_dedup_tells_rows_of_one_id_apart(spark):
+    two = "first line of the text here\nsecond line of the text here"
+    rows = [(1, two), (2, two), (2, "short"), (2, None), (None, two), (3, two), (3, two)]
+    got = lines.remove_repeated_lines(spark.createDataFrame(rows, "doc_id bigint, text string"), short=True).collect()
+    assert sorted((r.doc_id or 0, "-" if r.text is None else r.text, r.n_removed) for r in got) == [(0, two, 0), (1, two, 0), (2, "", 2), (2, "-", 0), (2, "short", 0), (3, "", 2), (3, "", 2)]
+
+
+def test_crowded_keys_are_compared_in_blocks(make_docs, monkeypatch):
+    monkeypatch.setattr(lines, "BLOCK", 8)
+    rng = random.Random(4)
+    start = "every line of this crowd starts with the same forty symbols and then "
+    texts = [start + "".join(rng.choices("abcdefghijklmnop", k=45)) for _ in range(60)]
+    copies = [t[:80] + "#" + t[81:] for t in texts[:20]]
+    got = {r.doc_id: r.n_removed for r in lines.remove_repeated_lines(make_docs(texts + copies)).collect()}
+    assert got == {i: int(i >= 60) for i in range(80)}
+
+
 # ---- 9 -----------------------------------------------------------------------------------------
 
 
