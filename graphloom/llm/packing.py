@@ -1,10 +1,11 @@
 """Packing by multiway differencing: near-equal windows from partial partitions of opposing imbalance.
 
-Documents are read in partition order. Full windows are cut off long documents; what remains of a
-block of documents is dealt to the fewest windows that hold it. Differencing keeps a heap of partial
+Documents are read in partition order. Full windows are cut off long documents, and what remains of
+these is cut in small pieces, which even out the windows; other documents stay whole. The items of a
+block of documents are dealt to the fewest windows that hold them. Differencing keeps a heap of partial
 partitions, each a sorted list of window loads, and merges the two of largest spread, heaviest window
-to lightest. If the heaviest window exceeds the capacity, the window count rises by one. A block is
-some hundred windows, so memory is bounded and no row is shuffled.
+to lightest. While the heaviest window exceeds the capacity, the window count rises and the block is
+dealt anew. A block is some hundred windows, so memory is bounded and no row is shuffled.
 """
 
 from __future__ import annotations
@@ -19,10 +20,11 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 
 from graphloom.llm.bpe import borrowed
-from graphloom.llm.common import arrow_rows
+from graphloom.llm.common import arrow_rows, lean
 
 PIECES = "doc_id bigint, start bigint, length bigint, ids_crc32 bigint, doc_tokens bigint, sequence_id bigint, offset bigint"
 END_ID = 1
+TAIL_PIECE = 256
 
 
 def difference(sizes: list[int], windows: int) -> list[list[int]]:
@@ -66,41 +68,23 @@ def difference(sizes: list[int], windows: int) -> list[list[int]]:
     return out + [[] for _ in range(windows - len(out))]
 
 
-def pack(sizes: list[int], capacity: int, rises: int = 1) -> list[list[tuple[int, int, int]]]:
-    """Near-equal windows by differencing, as pieces (item, start, length).
+def pack(sizes: list[int], capacity: int) -> list[list[int]]:
+    """Near-equal windows of whole items by differencing, as lists of items. No item exceeds the capacity.
 
-    The window count starts at the fewest that can hold the items and rises when the heaviest window
-    exceeds the capacity. After `rises` times what still exceeds it is cut off and fills the lightest
-    windows, so padding stays within rises + 1 windows.
+    The window count starts at the fewest that can hold the items and rises as long as the heaviest
+    window exceeds the capacity: half the way to where it would not if it stood as far above the mean then.
     """
     if not sizes:
         return []
-    windows = -(-sum(sizes) // capacity)
-    for extra in range(rises + 1):
-        dealt = [w for w in difference(sizes, windows + extra) if w]
-        if max(sum(sizes[i] for i in w) for w in dealt) <= capacity:
-            return [[(i, 0, sizes[i]) for i in w] for w in dealt]
-    out: list[list[tuple[int, int, int]]] = []
-    cut: list[tuple[int, int, int]] = []
-    for w in dealt:
-        own, load = [], 0
-        for i in sorted(w, key=lambda i: sizes[i]):
-            fits = min(sizes[i], capacity - load)
-            own.append((i, 0, fits))
-            load += fits
-            if fits < sizes[i]:
-                cut.append((i, fits, sizes[i] - fits))
-        out.append([p for p in own if p[2]])
-    room = sorted((capacity - sum(n for _, _, n in w), k) for k, w in enumerate(out))
-    for i, start, n in cut:
-        while n:
-            space, k = room.pop()
-            put = min(space, n)
-            out[k].append((i, start, put))
-            start, n = start + put, n - put
-            if space > put:
-                room.append((space - put, k))
-    return out
+    total = sum(sizes)
+    windows = -(-total // capacity)
+    while True:
+        dealt = [w for w in difference(sizes, windows) if w]
+        heaviest = max(sum(sizes[i] for i in w) for w in dealt)
+        if heaviest <= capacity:
+            return dealt
+        above = heaviest - total / windows
+        windows += max(1, int((total / max(capacity - above, 1) - windows) / 2))
 
 
 def pack_documents(docs: DataFrame, path: str, capacity: int = 2048, block_windows: int = 200, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -122,10 +106,10 @@ def pack_documents(docs: DataFrame, path: str, capacity: int = 2048, block_windo
             nonlocal sequence, waiting
             for window in pack([len(r[2]) // 4 for r in rest], capacity):
                 offset = 0
-                for i, at, length in window:
+                for i in window:
                     doc, start, ids, total = rest[i]
-                    rows.append((doc, start + at, length, zlib.crc32(ids[4 * at : 4 * (at + length)]), total, base + sequence, offset))
-                    offset += length
+                    rows.append((doc, start, len(ids) // 4, zlib.crc32(ids), total, base + sequence, offset))
+                    offset += len(ids) // 4
                 sequence += 1
             out = arrow_rows(PIECES, dict(zip([f.split()[0] for f in PIECES.split(", ")], map(list, zip(*rows, strict=True)), strict=True)))
             rows.clear()
@@ -143,12 +127,13 @@ def pack_documents(docs: DataFrame, path: str, capacity: int = 2048, block_windo
                         rows.append((doc, start, capacity, zlib.crc32(piece), total, base + sequence, 0))
                         sequence += 1
                         start += capacity
-                    if start < total:
-                        rest.append((doc, start, ids[4 * start :], total))
-                        waiting += total - start
+                    step = TAIL_PIECE if start else capacity
+                    for at in range(start, total, step):
+                        rest.append((doc, at, ids[4 * at : 4 * (at + step)], total))
+                    waiting += total - start
                     if waiting >= block_windows * capacity:
                         yield settle()
             if rows or rest:
                 yield settle()
 
-    return docs.select(docs[id_col].cast("bigint"), docs[text_col]).mapInArrow(run, PIECES)
+    return docs.select(docs[id_col].cast("bigint"), docs[text_col]).mapInArrow(lean(run), PIECES)
