@@ -15,6 +15,7 @@ from __future__ import annotations
 
 import hashlib
 import json
+import threading
 import unicodedata
 import zlib
 from array import array
@@ -26,7 +27,7 @@ import pyarrow as pa
 import regex
 from pyspark.sql import DataFrame
 
-from graphloom.llm.common import arrow_rows, joined_bytes
+from graphloom.llm.common import arrow_rows, joined_bytes, lean, trim
 from graphloom.llm.shingles import _RAW_BYTE, U, word_hashes
 
 #: Spaces of Unicode, by which the vocabulary's normalizer and word pattern split. Fixed values.
@@ -99,7 +100,7 @@ class TokenAutomaton:
         self.cache = Memory(self._chunk, CACHE_CHUNKS)
         self.words = Memory(self._word, CACHE_CHUNKS // 2)
         self.states: dict[str, int] = {}
-        if len(getattr(self, "arcs", ())) > CACHE_CHUNKS or not hasattr(self, "arcs"):
+        if len(getattr(self, "arcs", ())) > CACHE_CHUNKS // 2 or not hasattr(self, "arcs"):
             self.arcs: dict[int, bool] = {}
         self.pool = None
 
@@ -193,26 +194,24 @@ class TokenAutomaton:
         code[common] = np.arange(1, len(common) + 1)
         byte_of = {c: b for b, c in enumerate(self.symbols)}
         self.code, self.common, end = code, bytes(common), len(common) + 1
-        nodes: list[dict[int, int]] = [{}]
+        steps: dict[int, int] = {}  # (node, code) -> node
         token = [-1]
         for text, label in self.vocab.items():
             body = text.removesuffix(self.end) or text
             raw = bytes(byte_of[c] for c in body)
             if raw.translate(None, self.common) or (self.width[label] > 1 and len(self.right[label]) == 1):
                 continue
-            path = ([end] if body != text else []) + [int(code[b]) for b in reversed(raw)]
             at = 0
-            for c in path:
-                if c not in nodes[at]:
-                    nodes[at][c] = len(nodes)
-                    nodes.append({})
+            for c in ([end] if body != text else []) + [int(code[b]) for b in reversed(raw)]:
+                step = at << 8 | c
+                at = steps.get(step, 0)
+                if not at:
+                    at = steps[step] = len(token)
                     token.append(-1)
-                at = nodes[at][c]
             token[at] = label
-        self.next = np.zeros((len(nodes), end + 1), np.int32)
-        for at, arcs in enumerate(nodes):
-            for c, to in arcs.items():
-                self.next[at, c] = to
+        self.next = np.zeros((len(token), end + 1), np.int32)
+        known = np.array(list(steps.items()), np.int64).reshape(-1, 2)
+        self.next[known[:, 0] >> 8, known[:, 0] & 255] = known[:, 1]
         self.token, self.end_node = np.array(token, np.int32), int(self.next[0, end])
         self.widths = np.array(self.width, np.int32)
         self.arc_keys, self.arc_open = np.full(1 << 20, -1, np.int64), np.zeros(1 << 20, bool)
@@ -441,6 +440,9 @@ class TokenAutomaton:
 
 
 _LOADED: dict[str, TokenAutomaton] = {}
+_LOCK = threading.Lock()
+_IDLE: list[threading.Timer] = []
+IDLE_SECONDS = 2.0
 
 
 def automaton(path: str) -> TokenAutomaton:
@@ -451,14 +453,31 @@ def automaton(path: str) -> TokenAutomaton:
     return _LOADED[path]
 
 
+def _let_go() -> None:
+    with _LOCK:
+        if _IDLE and _IDLE[0] is threading.current_thread():
+            _LOADED.clear()
+            _IDLE.clear()
+    trim()
+
+
 @contextmanager
 def borrowed(path: str) -> Iterator[TokenAutomaton]:
-    """The worker's automaton for one task; its memories are let go at the end."""
-    a = automaton(path)
+    """The worker's automaton for one task. Its memories are let go at the end, and itself soon after unless a next task takes it."""
+    with _LOCK:
+        for timer in _IDLE:
+            timer.cancel()
+        _IDLE.clear()
+        a = automaton(path)
     try:
         yield a
     finally:
         a.release()
+        with _LOCK:
+            timer = threading.Timer(IDLE_SECONDS, _let_go)
+            timer.daemon = True
+            _IDLE[:] = [timer]
+            timer.start()
 
 
 def vocabulary(name: str = "word_bpe_49k.json") -> str:
@@ -479,7 +498,7 @@ def encode_documents(docs: DataFrame, path: str, id_col: str = "doc_id", text_co
             for b in batches:
                 yield arrow_rows(ENCODED, {"doc_id": b.column(0), "ids": a.encode_column(b.column(1))})
 
-    return docs.select(docs[id_col].cast("bigint"), docs[text_col]).mapInArrow(run, ENCODED)
+    return docs.select(docs[id_col].cast("bigint"), docs[text_col]).mapInArrow(lean(run), ENCODED)
 
 
 def decode_documents(encoded: DataFrame, path: str) -> DataFrame:
@@ -491,7 +510,7 @@ def decode_documents(encoded: DataFrame, path: str) -> DataFrame:
         for b in batches:
             yield arrow_rows(schema, {"doc_id": b.column(0), "text": [a.decode(x or b"").decode("utf-8") for x in b.column(1).to_pylist()]})
 
-    return encoded.select("doc_id", "ids").mapInArrow(run, schema)
+    return encoded.select("doc_id", "ids").mapInArrow(lean(run), schema)
 
 
 def round_trip_digests(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -512,4 +531,4 @@ def round_trip_digests(docs: DataFrame, path: str, id_col: str = "doc_id", text_
                     out["ids_crc32"].append(zlib.crc32(ids))
                 yield arrow_rows(DIGESTS, {"doc_id": b.column(0), **out})
 
-    return docs.select(docs[id_col].cast("bigint"), docs[text_col]).mapInArrow(run, DIGESTS)
+    return docs.select(docs[id_col].cast("bigint"), docs[text_col]).mapInArrow(lean(run), DIGESTS)

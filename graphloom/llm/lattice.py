@@ -16,7 +16,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from graphloom.llm.common import arrow_rows, blocked_pairs, by_sorted_group, ints
+from graphloom.llm.common import arrow_rows, blocked_pairs, by_sorted_group, ints, lean
 from graphloom.llm.shingles import U, mix
 from graphloom.operators.components import components_of_links, star_edges
 from graphloom.plans.scratch import Scratch
@@ -146,7 +146,7 @@ def near_duplicate_vectors(vectors: DataFrame, least: float = 0.9, tables: int =
                 for lo in range(0, len(at), 4096):
                     yield from _cells(unit[lo : lo + 4096], rid[at[lo : lo + 4096]], tables)
 
-    cells = classes.select("rid", "embedding").mapInArrow(decode, CELL)
+    cells = classes.select("rid", "embedding").mapInArrow(lean(decode), CELL)
     sizes = cells.groupBy("cell").agg(F.count("*").alias("size")).where("size > 1").select("cell", F.ceil(F.col("size") / BLOCK).cast("int").alias("n_blocks"))
     angle = np.arccos(least) / np.pi
     most_bits = int(BITS * angle + 6 * np.sqrt(BITS * angle * (1 - angle)))

@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from graphloom.llm.common import arrow_rows, blocked_pairs, by_sorted_group, ints
+from graphloom.llm.common import arrow_rows, blocked_pairs, by_sorted_group, ints, lean
 from graphloom.llm.shingles import U, minwise, mix, seeds, shingle_sets
 from graphloom.operators.components import components_of_links, star_edges
 from graphloom.plans.scratch import Scratch
@@ -47,7 +47,7 @@ def sign_documents(docs: DataFrame, k: int) -> DataFrame:
                 sig.append(minwise(s, coordinates).tobytes() if len(s) else b"")
             yield arrow_rows(SIGNED, {"doc_id": b.column(0), "n": n, "k1": np.array(k1, U).view(np.int64), "k2": np.array(k2, U).view(np.int64), "sig": sig})
 
-    return docs.select(docs["doc_id"].cast("bigint"), docs["text"]).mapInArrow(run, SIGNED)
+    return docs.select(docs["doc_id"].cast("bigint"), docs["text"]).mapInArrow(lean(run), SIGNED)
 
 
 def _signatures(column: pa.Array) -> np.ndarray:
@@ -116,7 +116,7 @@ def coarse_links(classes: DataFrame, threshold: float, trees: int, scratch: Scra
                     yield _children(np.full(len(rid), mix(np.array([tree + 1], U))[0]), rid, sig, 0, threshold)
 
     members = classes.select("rid", "sig")
-    rows = members.mapInArrow(root, "node bigint, rid bigint")
+    rows = members.mapInArrow(lean(root), "node bigint, rid bigint")
     links, leaves = [], []
     for level in range(1, DEPTH + 1):
         sizes = rows.groupBy("node").agg(F.count("*").alias("size"), F.min("rid").alias("pivot")).where("size > 1")
@@ -144,7 +144,7 @@ def coarse_links(classes: DataFrame, threshold: float, trees: int, scratch: Scra
                 yield arrow_rows("kind int, a bigint, b bigint", {"kind": np.r_[np.zeros(n, np.int32), np.ones(len(near), np.int32)], "a": np.r_[ints(below.column(0)), rid[near]], "b": np.r_[ints(below.column(1)), pivot[near]]})
 
         deep = large.join(members, "rid").join(pivots, "node").select("node", "rid", "pivot", "sig", "pivot_sig")
-        out = scratch.save(deep.mapInArrow(branch, "kind int, a bigint, b bigint"), "branched")
+        out = scratch.save(deep.mapInArrow(lean(branch), "kind int, a bigint, b bigint"), "branched")
         links.append(out.where("kind = 1").select(F.col("a").alias("u"), F.col("b").alias("v")))
         rows = out.where("kind = 0").select(F.col("a").alias("node"), F.col("b").alias("rid"))
     leaf = leaves[0]
@@ -227,7 +227,7 @@ def near_duplicate_components(docs: DataFrame, k: int = 3, numerator: int = 85,
     clusters = scratch.save(coarse.select(F.col("id").alias("rid"), F.col("component").alias("cluster")).join(classes.select("rid", "n"), "rid"), "clusters")
     sizes = clusters.groupBy("cluster").agg(F.ceil(F.greatest(F.count("*") / BLOCK, F.sum("n") / (BLOCK * 8192))).cast("int").alias("n_blocks"))
     run, schema = _full_sets(k)
-    sets = docs.select(docs["doc_id"].cast("bigint").alias("rid"), docs["text"]).join(clusters.select("rid"), "rid", "left_semi").mapInArrow(run, schema)
+    sets = docs.select(docs["doc_id"].cast("bigint").alias("rid"), docs["text"]).join(clusters.select("rid"), "rid", "left_semi").mapInArrow(lean(run), schema)
     dealt = blocked_pairs(clusters, ["cluster"], sizes, "rid").join(sets, "rid")
     exact = by_sorted_group(dealt.select("cluster", "bi", "bj", "rid", "block", "hashes"), ["cluster", "bi", "bj"], ["rid"], _exact_links(numerator, denominator), LINK)
     linked = components_of_links(exact).select(F.col("id").alias("rid"), "component")

@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from graphloom.llm.common import arrow_rows, texts
+from graphloom.llm.common import arrow_rows, lean, slices, texts
 from graphloom.llm.quality import SCORED, in_fold, judge
 
 INSULT, THREAT, TARGET, NEGATION, REPORT, END = 1, 2, 3, 4, 5, 6
@@ -65,7 +65,7 @@ def built_in() -> Lexicon:
 class WordSymbols(dict):
     """Symbols of a chunk of text: its word's symbol, and whether a clause ends with it; a bounded memory."""
 
-    def __init__(self, lexicon: Lexicon, most: int = 300_000):
+    def __init__(self, lexicon: Lexicon, most: int = 150_000):
         super().__init__()
         self.lexicon, self.most = lexicon, most
 
@@ -175,7 +175,7 @@ def _count_terms(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     n: Counter = Counter()
     contexts: dict[tuple[str, int], set[int]] = {}
     known: dict[str, list[str]] = {}
-    for b in batches:
+    for b in (part for batch in batches for part in slices(batch, 1)):
         for label, text in zip(b.column(0).to_pylist(), texts(b.column(1)), strict=True):
             held: set[str] = set()
             before = ""
@@ -183,7 +183,7 @@ def _count_terms(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
                 terms = known.get(chunk)
                 if terms is None:
                     terms = known[chunk] = _terms(chunk)
-                    if len(known) > 200_000:
+                    if len(known) > 50_000:
                         known.clear()
                 held.update(terms)
                 if label:
@@ -214,7 +214,7 @@ def learn_lexicon(sample: DataFrame, positives: int, negatives: int) -> Lexicon:
     share = positives / (positives + negatives)
     least = math.ceil(math.log(1e7) / math.log(1 / share))
     grouped = (
-        sample.mapInArrow(_count_terms, TERM)
+        sample.mapInArrow(lean(_count_terms), TERM)
         .groupBy("term")
         .agg(F.sum(F.when(F.col("toxic") == 1, F.col("n"))).alias("p"), F.coalesce(F.sum(F.when(F.col("toxic") == 0, F.col("n"))), F.lit(0)).alias("q"), F.count_distinct(F.when(F.col("toxic") == 1, F.col("context"))).alias("contexts"))
         .where((F.col("contexts") >= min(least, 24)) & (F.col("p") >= min(least, 24)) & (F.col("q") <= 0.02 * F.col("p")))
@@ -248,11 +248,11 @@ def fit_toxicity(docs: DataFrame, labels: DataFrame, positive_rows: int = POSITI
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         symbols = WordSymbols(lexicon)
-        for b in batches:
+        for b in (part for batch in batches for part in slices(batch, 1)):
             got = [clause_events(t, symbols) for t in texts(b.column(1))]
             yield arrow_rows(schema, {"toxic": b.column(0), **{f"e{i}": [c[i] for c, _ in got] for i in range(EVENTS)}, "clauses": [k for _, k in got]})
 
-    rows = sorted(tuple(r) for r in sample.mapInArrow(run, schema).collect())
+    rows = sorted(tuple(r) for r in sample.mapInArrow(lean(run), schema).collect())
     x = _features([r[1:-1] for r in rows], [r[-1] for r in rows])
     y = np.array([r[0] for r in rows], float)
     return ToxicityModel(lexicon, fit_weights(x, y))
@@ -263,10 +263,10 @@ def score_toxicity(docs: DataFrame, model: ToxicityModel) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         score = model.scorer()
-        for b in batches:
+        for b in (part for batch in batches for part in slices(batch, 1)):
             yield arrow_rows(SCORED, {"doc_id": b.column(0), "score": score(b.column(1))})
 
-    return docs.select(docs["doc_id"].cast("bigint"), docs["text"]).mapInArrow(run, SCORED)
+    return docs.select(docs["doc_id"].cast("bigint"), docs["text"]).mapInArrow(lean(run), SCORED)
 
 
 def classify_toxicity(docs: DataFrame, labels: DataFrame, least: float = 0.5) -> DataFrame:
