@@ -7,6 +7,7 @@ pruning, and a superseded step can be deleted while a loop still runs.
 
 from __future__ import annotations
 
+import gc
 import tempfile
 import uuid
 
@@ -49,3 +50,8 @@ class Scratch:
             if path := getattr(t, "_scratch_path", None):
                 p = jvm.org.apache.hadoop.fs.Path(path)
                 p.getFileSystem(self.spark._jsc.hadoopConfiguration()).delete(p, True)
+
+    def sweep(self) -> None:
+        """Let Spark delete the shuffle files of plans that are done: it does so when the driver collects its garbage."""
+        gc.collect()
+        self.spark._jvm.System.gc()
