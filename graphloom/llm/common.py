@@ -161,7 +161,7 @@ def _and_none(items: Iterator) -> Iterator:
     yield None
 
 
-def pairs_within(start: np.ndarray, end: np.ndarray, most: int = 1_000_000) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+def pairs_within(start: np.ndarray, end: np.ndarray, most: int = 200_000) -> Iterator[tuple[np.ndarray, np.ndarray]]:
     """All (i, j), i < j, of rows of the same group, about `most` at a time or those of one row."""
     size = end - start
     row = np.repeat(start - np.r_[0, np.cumsum(size)[:-1]], size) + np.arange(size.sum())
