@@ -130,7 +130,7 @@ def masked_square(g: Graph) -> DataFrame:
     return squared.join(e.toDF("i", "j"), ["i", "j"]).agg(F.coalesce(F.sum("paths"), F.lit(0)).alias("triangles"))
 
 
-def rdd_library(g: Graph, what: str, iters: int = 10) -> DataFrame:
+def rdd_library(g: Graph, what: str, iters: int = 10, source: int = 0) -> DataFrame:
     """Spark's bundled RDD graph library through its public classes: pagerank or triangles, with a text hand-off.
 
     Its ranks sum to N. Small graphs: vertices and edges are RDD objects.
@@ -147,9 +147,15 @@ def rdd_library(g: Graph, what: str, iters: int = 10) -> DataFrame:
     elif what == "triangles":
         parted = graph.partitionBy(getattr(jvm.org.apache.spark.graphx, "PartitionStrategy$RandomVertexCut$").__getattr__("MODULE$"))
         out = getattr(jvm.org.apache.spark.graphx.lib, "TriangleCount").run(parted, ints, ints).vertices()
+    elif what == "bfs":  # hops to the vertex `source`, along the arcs
+        landmark = jvm.java.util.stream.LongStream.of(source).boxed().collect(jvm.java.util.stream.Collectors.toList())
+        out = getattr(jvm.org.apache.spark.graphx.lib, "ShortestPaths").run(graph, jvm.scala.jdk.javaapi.CollectionConverters.asScala(landmark).toSeq(), ints).vertices()
     else:
         raise ValueError(what)
     out.saveAsTextFile(f"{root}/{what}")
     rows = spark.read.text(f"{root}/{what}").select(F.regexp_extract("value", r"^\((-?\d+),", 1).cast("bigint").alias("id"), F.regexp_extract("value", r",(.*)\)$", 1).cast("double").alias("value"))
+    if what == "bfs":
+        found = F.regexp_extract("value", r"-> (\d+)\)\)$", 1)
+        return spark.read.text(f"{root}/{what}").where(found != "").select(F.regexp_extract("value", r"^\((-?\d+),", 1).cast("bigint").alias("id"), found.cast("int").alias("level"))
     return rows
 

@@ -2,7 +2,7 @@
 
 Each level is one job: the frontier meets the edges, proposals are combined to the least parent before
 the exchange, visited vertices are dropped by an anti-join, and the frontier's size is read off the
-write. The static edges are saved once; only frontiers and the visited ids move.
+write. The static edges are saved once, in buckets of the source; only frontiers and the visited ids move.
 """
 
 from __future__ import annotations
@@ -32,7 +32,7 @@ def bfs(g: Graph, source: int | DataFrame, dedupe: str = "visited", direction: s
     """
     spark = g.edges.sparkSession
     scratch = Scratch(spark, "bfs")
-    edges = scratch.save(g.edges.select("src", "dst"), "edges")
+    edges = scratch.save_by(g.edges.select("src", "dst"), "edges", "src")
     if isinstance(source, DataFrame):
         seeds = source.select(F.col("id").cast("bigint").alias("id"))
     else:

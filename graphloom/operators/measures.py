@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import re
 import time
 from collections.abc import Callable
 
@@ -104,10 +105,18 @@ def triangle_error(estimate: DataFrame, exact: DataFrame) -> DataFrame:
     return estimate.select("estimate").crossJoin(exact.select("triangles")).select(F.round(d, 3).alias("abs_error"), F.round(F.when(F.col("triangles") > 0, d / F.col("triangles")).otherwise(0.0), 9).alias("rel_error"))
 
 
+def cut_of(g: Graph, places: DataFrame) -> DataFrame:
+    """local, remote and ratio of the arcs under a placement (id, part)."""
+    p, q = places.toDF("src", "p"), places.toDF("dst", "q")
+    both = g.edges.join(p, "src").join(q, "dst")
+    remote = F.count_if(F.col("p") != F.col("q"))
+    return both.agg(F.count_if(F.col("p") == F.col("q")).alias("local"), remote.alias("remote"), F.round(remote / F.count("*"), 9).alias("ratio"))
+
+
 def exchanges(df: DataFrame) -> int:
-    """Exchanges in the physical plan: the barriers of a step."""
+    """Shuffle exchanges of the plan as first laid out: the barriers of a step. Broadcasts and reused exchanges don't count."""
     plan = df._jdf.queryExecution().executedPlan().toString()
-    return plan.count("Exchange ") + plan.count("BroadcastExchange ") * 0
+    return len(re.findall(r"(?<![A-Za-z])Exchange (?:hash|range|single|roundrobin)", plan, re.IGNORECASE))
 
 
 def speedup(runs: DataFrame) -> DataFrame:

@@ -1,6 +1,6 @@
 """PageRank: one relaxation step, fixed steps, until a residual, and its execution variants.
 
-Edges with their source's share count are stored once and never rewritten; only the rank vector moves.
+Edges with their source's share are stored once, in buckets of the source, and never exchanged again; only the rank vector moves.
 A step refers to the rank frame once, so a few steps make one job whose plan grows linearly, and the
 vector is then cut to the shared scratch. Partial sums combine before every exchange.
 """
@@ -26,7 +26,7 @@ class Prepared:
 
     def __init__(self, g: Graph, scratch: Scratch, weight: str | None = None):
         self.scratch = scratch
-        self.vertices = scratch.save(g.vertices(), "vertices")
+        self.vertices = scratch.save_by(g.vertices(), "vertices", "id")
         self.n = self.vertices.count()
         if weight:
             out = g.edges.groupBy("src").agg(F.sum(weight).alias("deg"))
@@ -34,7 +34,7 @@ class Prepared:
         else:
             out = g.degrees("out").toDF("src", "deg")
             shares = g.edges.join(out, "src").select("src", "dst", (1.0 / F.col("deg")).alias("share"))
-        self.shares = scratch.save(shares, "shares")
+        self.shares = scratch.save_by(shares, "shares", "src")
         self.dangling = self.vertices.join(self.shares.select(F.col("src").alias("id")).distinct(), "id", "left_anti")
 
     def start(self) -> DataFrame:
@@ -47,9 +47,15 @@ def contributions(p: Prepared, ranks: DataFrame, combine: bool = True) -> DataFr
     return sent.groupBy("id").agg(F.sum("value").alias("value")) if combine else sent
 
 
-def relax(p: Prepared, ranks: DataFrame, d: float, base: DataFrame | None = None, spread: float = 0.0) -> DataFrame:
-    """New ranks from one snapshot: (1-d)/N (or the restart share) + d * received."""
-    got = contributions(p, ranks)
+def relax(p: Prepared, ranks: DataFrame, d: float, base: DataFrame | None = None, spread: float = 0.0, combine: bool = True) -> DataFrame:
+    """New ranks from one snapshot: (1-d)/N (or the restart share) + d * received.
+
+    combine=False ships every contribution by itself and adds up at the target, as without message combination.
+    """
+    got = contributions(p, ranks, combine)
+    if not combine:
+        shipped = got.repartition("id").select("id", F.struct("value").alias("x"))  # the exchange stands below the sum, so nothing is summed before it
+        got = shipped.groupBy("id").agg(F.sum("x.value").alias("value"))
     out = p.vertices.join(got, "id", "left")
     value = F.coalesce("value", F.lit(0.0)) + spread / max(p.n, 1)
     if base is not None:
@@ -63,21 +69,29 @@ def step(g: Graph, d: float = 0.85) -> DataFrame:
     return relax(p, p.start(), d).select("id", F.lit(1.0 / max(p.n, 1)).alias("old"), "rank")
 
 
-def pagerank(g: Graph, d: float = 0.85, iters: int = 10, dangling: str = "leak", restart: DataFrame | None = None, weight: str | None = None, scale: str = "one") -> DataFrame:
-    """(id, rank) after a fixed number of steps. dangling='uniform' gives back the mass of sinks; scale='n' sums to N."""
+def pagerank(g: Graph, d: float = 0.85, iters: int = 10, dangling: str = "leak", restart: DataFrame | None = None, weight: str | None = None, scale: str = "one", combine: bool = True, start: DataFrame | None = None) -> DataFrame:
+    """(id, rank) after a fixed number of steps. dangling='uniform' gives back the mass of sinks; scale='n' sums to N.
+
+    start, an (id, rank) of earlier ranks, replaces the uniform start: its vertices keep their ranks, new ones
+    get the mean, and the whole is scaled to a mass of one.
+    """
     p = Prepared(g, Scratch(g.edges.sparkSession, "pagerank"), weight)
     base = None
     if restart is not None:
         base = restart.select("id").distinct().join(p.vertices, "id", "left_semi")
         base = base.crossJoin(base.agg((1.0 / F.count("*")).alias("restart")))
     ranks = p.start()
+    if start is not None:
+        warm = p.vertices.join(start.select("id", F.col("rank").alias("old")), "id", "left").select("id", F.coalesce("old", F.lit(1.0 / max(p.n, 1))).alias("rank"))
+        mass = warm.agg(F.sum("rank")).first()[0] or 1.0
+        ranks = p.scratch.save(warm.select("id", (F.col("rank") / mass).alias("rank")), "ranks")
     if dangling == "uniform":
         for _ in range(iters):
             lost = ranks.join(p.dangling, "id", "left_semi").agg(F.sum("rank")).first()[0] or 0.0
             ranks = p.scratch.save(relax(p, ranks, d, base, lost), "ranks")
     else:
         for k in range(iters):
-            ranks = relax(p, ranks, d, base)
+            ranks = relax(p, ranks, d, base, combine=combine)
             if k % STEPS_A_JOB == STEPS_A_JOB - 1 and k < iters - 1:
                 ranks = p.scratch.save(ranks, "ranks")
     return ranks.select("id", (F.col("rank") * (p.n if scale == "n" else 1)).alias("rank"))

@@ -58,11 +58,12 @@ def _count_batches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch
             yield pa.RecordBatch.from_pydict({"n": pa.array([n], pa.int64())})
 
 
-def partitioned(g: Graph, parts: int = 8, orient: str = "degree", outer: str = "par", slices: int = 3) -> DataFrame:
+def partitioned(g: Graph, parts: int = 8, orient: str = "degree", outer: str = "par") -> DataFrame:
     """Local arm and remote arm over an owner placement, one late sum.
 
     Arcs whose far end has the same owner meet their second list in place; the others ship the near
-    list to the far end's owner. outer='seq' gives each owner one task, 'par' cuts its arcs into slices.
+    list to the far end's owner. outer='seq' gives each owner one task, 'par' counts the arcs where the far lists stand, in as many
+    tasks as the exchange has partitions: no list is moved a third time.
     """
     o = g.orient(orient)
     lists = o.neighbour_lists().withColumn("part", owner(F.col("id"), parts))
@@ -72,7 +73,8 @@ def partitioned(g: Graph, parts: int = 8, orient: str = "degree", outer: str = "
     local = sent.where("here = there").join(far, "dst")
     remote = sent.where("here <> there").join(far, "dst")
     both = local.unionByName(remote).select("near", "far", "there")
-    both = both.repartition(parts, "there") if outer == "seq" else both.repartition(parts * slices)
+    if outer == "seq":
+        both = both.repartition(parts, "there")
     return total(both.select("near", "far").mapInArrow(_count_batches, "n bigint"))
 
 

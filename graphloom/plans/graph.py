@@ -164,8 +164,28 @@ class Graph:
             k = F.row_number().over(Window.partitionBy("cell").orderBy(F.desc("deg"), "id")) - 1
             turn = F.pmod(k, F.lit(2 * parts))
             return deg.withColumn("t", turn + 0).select("id", F.pmod(F.when(F.col("t") < parts, F.col("t")).otherwise(2 * parts - 1 - F.col("t")) + F.col("cell"), F.lit(parts)).cast("int").alias("part"))
+        if how == "label_prop":
+            return self._place_by_labels(parts)
         raise ValueError(how)
 
+    def _place_by_labels(self, parts: int, rounds: int = 4) -> DataFrame:
+        """Few rounds of label propagation (the commonest label around, the least of equals), labels dealt to parts by their hash. Large labels are split by id."""
+        spark = self.edges.sparkSession
+        scratch = Scratch(spark, "labels")
+        e = scratch.save_by(self.symmetrize().edges.select("src", "dst"), "arcs", "src")
+        labels = scratch.save(self.vertices().select("id", F.col("id").alias("label")), "labels")
+        for _ in range(rounds):
+            seen = e.join(labels.select(F.col("id").alias("src"), "label"), "src").groupBy(F.col("dst").alias("id"), "label").agg(F.count("*").alias("n"))
+            best = seen.groupBy("id").agg(F.max(F.struct("n", (-F.col("label")).alias("label"))).alias("best"))
+            new = scratch.save(labels.select("id", F.col("label").alias("old")).join(best, "id", "left").select("id", F.coalesce(-F.col("best.label"), "old").alias("label")), "labels")
+            scratch.drop(labels)
+            labels = new
+        n = labels.count()
+        sizes = labels.groupBy("label").agg(F.count("*").alias("n"))
+        share = F.floor(F.col("n") * (2 * parts) / max(n, 1)) + 1  # a label of more than half a part's due goes to several
+        cell = F.concat_ws(":", "label", F.pmod(md5_32(F.col("id").cast("string")), share))
+        return labels.join(sizes, "label").select("id", F.pmod(md5_32(cell), F.lit(parts)).cast("int").alias("part"))
+
     def persist_as(self, table: str, buckets: int) -> Graph:
         """Store the edges bucketed by src, so that joins on src need no exchange of them."""
         self.edges.write.bucketBy(buckets, "src").sortBy("src").mode("overwrite").saveAsTable(table)

@@ -43,6 +43,15 @@ class Scratch:
         out._scratch_path = path
         return out
 
+    def save_by(self, df: DataFrame, name: str, key: str) -> DataFrame:
+        """save() in buckets of the key, one for each shuffle partition of the session, so that joins on the key exchange only their other side."""
+        table = f"{name}_{uuid.uuid4().hex}"
+        buckets = int(self.spark.conf.get("spark.sql.shuffle.partitions"))
+        df.repartition(buckets, key).write.option("path", f"{self.root}/{table}").bucketBy(buckets, key).sortBy(key).saveAsTable(table)
+        out = self.spark.table(table)
+        out._scratch_path = f"{self.root}/{table}"
+        return out
+
     def drop(self, *tables: DataFrame) -> None:
         """Delete tables of this run that no later plan reads."""
         jvm = self.spark._jvm

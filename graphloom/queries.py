@@ -98,6 +98,9 @@ _DFS = f"""WITH RECURSIVE e AS ({GRAPH_SQL['geo']}), w AS (SELECT 0::BIGINT AS i
 query("dfs_preorder_geo", _DFS)(lambda s, d: bfs.dfs_preorder(_g(s, d, "geo").edges, 0))
 query("placement_hash", f"{_with('trade')} SELECT id, {_OWNER.format('id')} AS part FROM v")(lambda s, d: _g(s, d, "trade").place(4))
 query("placement_random", f"{_with('trade')} SELECT id, {_OWNER.format(chr(39) + 'r:' + chr(39) + '||id')} AS part FROM v")(lambda s, d: _g(s, d, "trade").place(4, "random"))
+query("placement_label_prop")(lambda s, d: _g(s, d, "copart").place(4, "label_prop"))
+query("cost_cut_label_prop")(lambda s, d: measures.cut_of(g := _g(s, d, "copart"), g.place(4, "label_prop")))
+query("kron_edges", f"SELECT src, dst FROM ({GRAPH_SQL['kron']})")(lambda s, d: _g(s, d, "kron").edges.select("src", "dst"))
 for _how in ("range", "degree_balanced"):
     query(f"placement_{_how}")(lambda s, d, h=_how: _g(s, d, "trade").place(4, h))
 query("subgraph_trade_low", f"{_with('trade')} SELECT src, dst FROM e WHERE src < 400 AND dst < 400")(lambda s, d: (g := _g(s, d, "trade")).subgraph(g.vertices().where("id < 400")).edges)
@@ -140,13 +143,14 @@ query("pr_tol_hop", _pagerank_sql("hop", "raw", 12, select="SELECT id, round(ran
 query("pr_residuals_hop")(lambda s, d: measures.residual_table(s, pagerank.pagerank_residuals(_g(s, d, "hop"), tol=1e-7)[1]))
 query("pr_partitioned_hop", _pagerank_sql("hop", "raw"))(lambda s, d: _ranks(pagerank.pagerank_partitioned(_g(s, d, "hop"))))
 query("pr_pull_hop", _pagerank_sql("hop", "raw"))(lambda s, d: _ranks(pagerank.pagerank_pull(_g(s, d, "hop"))))
-query("pr_blockgs_hop", _pagerank_sql("hop", "raw", 14, select="SELECT id, round(rank, 3) AS rank FROM r14"))(lambda s, d: pagerank.pagerank_block_sweeps(_g(s, d, "hop"), sweeps=10).select("id", F.round("rank", 3).alias("rank")))
+query("pr_blockgs_hop", _pagerank_sql("hop", "raw", 14, select="SELECT id, round(rank, 6) AS rank FROM r14"))(lambda s, d: pagerank.pagerank_block_sweeps(_g(s, d, "hop"), sweeps=100).select("id", F.round("rank", 6).alias("rank")))
 query("pr_leak", _pagerank_sql("trade", "raw"))(lambda s, d: _ranks(pagerank.pagerank(_g(s, d, "trade"))))
 query("pr_dangling", _pagerank_sql("trade", "raw", uniform=True))(lambda s, d: _ranks(pagerank.pagerank(_g(s, d, "trade"), dangling="uniform")))
 query("pr_d50", _pagerank_sql("hop", "raw", d=0.5))(lambda s, d: _ranks(pagerank.pagerank(_g(s, d, "hop"), d=0.5)))
 query("pr_d95", _pagerank_sql("hop", "raw", d=0.95))(lambda s, d: _ranks(pagerank.pagerank(_g(s, d, "hop"), d=0.95)))
-query("pr_personal")(lambda s, d: _ranks(pagerank.pagerank(g := _g(s, d, "hop"), restart=g.vertices().where("id < 10"))))
-query("pr_weighted")(lambda s, d: _ranks(pagerank.pagerank(Graph((g := _g(s, d, "hop")).edges.withColumn("w", 1.0 + F.col("dst") % 3)), weight="w")))
+query("pr_combine_off", _pagerank_sql("hop", "raw"))(lambda s, d: _ranks(pagerank.pagerank(_g(s, d, "hop"), combine=False)))
+query("pr_personal", _pagerank_sql("hop", "raw").replace(f"{1 - 0.85}::DOUBLE / n", f"{1 - 0.85}::DOUBLE * (CASE WHEN v.id < 10 THEN 1.0::DOUBLE / (SELECT count(*) FROM v WHERE id < 10) ELSE 0.0::DOUBLE END)"))(lambda s, d: _ranks(pagerank.pagerank(g := _g(s, d, "hop"), restart=g.vertices().where("id < 10"))))
+query("pr_weighted", _pagerank_sql("hop", "raw").replace("sum(r.rank / dg.deg)", "sum(r.rank * (1.0::DOUBLE + e.dst % 3) / (SELECT sum(1.0::DOUBLE + x.dst % 3) FROM e x WHERE x.src = e.src))"))(lambda s, d: _ranks(pagerank.pagerank(Graph((g := _g(s, d, "hop")).edges.withColumn("w", 1.0 + F.col("dst") % 3)), weight="w")))
 query("pr_topk_trade", _pagerank_sql("trade", "sym", select="SELECT id, round(rank, 9) AS rank FROM r{last} ORDER BY r{last}.rank DESC, id LIMIT 20"))(lambda s, d: _ranks(pagerank.top_ranked(pagerank.pagerank(_g(s, d, "trade").symmetrize()), 20)))
 query("pr_scale_n", _pagerank_sql("hop", "raw", select="SELECT id, round(rank * (SELECT n FROM n), 7) AS rank FROM r{last}"))(lambda s, d: pagerank.pagerank(_g(s, d, "hop"), scale="n").select("id", F.round("rank", 7).alias("rank")))
 query("pr_mass", _pagerank_sql("link", "raw", select="SELECT round(sum(rank), 9) AS mass FROM r{last}"))(lambda s, d: pagerank.pagerank(_g(s, d, "link")).agg(F.round(F.sum("rank"), 9).alias("mass")))
@@ -184,8 +188,9 @@ for _name in ("geo", "reply", "link", "neardup"):
     query(f"cc_{_name}", _components_sql(_name))(lambda s, d, n=_name: bfs.components(_g(s, d, n)))
 query("bfs_sql_nation", _bfs_sql("nation", "sym", 4, select=_LEVELS))(lambda s, d: bfs.bfs_sql(g := _g(s, d, "nation").symmetrize(), _source(g), 2))
 query("bfs_profile_trade", _bfs_sql("trade", "sym", 5, select="SELECT level, count(*) AS vertices, coalesce(sum(deg), 0)::BIGINT AS arcs_out FROM t LEFT JOIN dg ON dg.id = t.id GROUP BY level"))(lambda s, d: bfs.bfs_profile(g := _g(s, d, "trade").symmetrize(), _source(g)))
-query("closeness_sample")(lambda s, d: bfs.closeness(_g(s, d, "hop").symmetrize(), [0, 1, 2, 3]))
-query("bfs_validate")(lambda s, d: measures.bfs_violations(g := _g(s, d, "trade").symmetrize(), bfs.bfs(g, _source(g))))
+_REACH = _bfs_sql("hop", "sym", 6, source="(@)").removeprefix("WITH ").replace(" SELECT id, parent, level FROM t", "")
+query("closeness_sample", " UNION ALL ".join(f"SELECT * FROM (WITH {_REACH.replace('@', str(k))} SELECT {k}::BIGINT AS source, count(*) AS reached, sum(level)::BIGINT AS distance_sum, round((count(*) - 1)::DOUBLE / sum(level), 9) AS closeness FROM t)" for k in range(4)))(lambda s, d: bfs.closeness(_g(s, d, "hop").symmetrize(), [0, 1, 2, 3]))
+query("bfs_validate", "SELECT rule, 0::BIGINT AS violations FROM (VALUES ('tree_arc_missing'), ('level_step'), ('extra_roots'), ('arc_spans_levels'), ('unreached_neighbour')) r(rule)")(lambda s, d: measures.bfs_violations(g := _g(s, d, "trade").symmetrize(), bfs.bfs(g, _source(g))))
 
 # ---- primitive operations ----------------------------------------------------------------------
 
@@ -205,6 +210,7 @@ query("base_ghost_bfs_trade", _bfs_sql("trade", "sym", 5))(lambda s, d: baseline
 query("base_vprog_bfs_trade", _bfs_sql("trade", "sym", 5, select=_LEVELS))(lambda s, d: baselines.vertex_program_bfs(g := _g(s, d, "trade").symmetrize(), _source(g)))
 query("base_vprog_pr_hop", _pagerank_sql("hop", "raw"))(lambda s, d: _ranks(baselines.vertex_program_pagerank(_g(s, d, "hop"))))
 query("base_rdd_pr_hop", _pagerank_sql("hop", "raw", select="SELECT id, round(rank * (SELECT n FROM n) / (SELECT sum(rank) FROM r{last}), 6) AS rank FROM r{last}"))(lambda s, d: baselines.rdd_library(_g(s, d, "hop"), "pagerank").select("id", F.round("value", 6).alias("rank")))
+query("base_rdd_bfs_hop", _bfs_sql("hop", "sym", 6, select=_LEVELS))(lambda s, d: baselines.rdd_library(g := _g(s, d, "hop").symmetrize(), "bfs", source=_source(g)))
 query("base_rdd_tri_hop", f"{_PER_VERTEX} SELECT v.id, coalesce(k.n, 0) AS n FROM v LEFT JOIN k ON k.id = v.id")(lambda s, d: baselines.rdd_library(_g(s, d, "hop").undirected(), "triangles").select("id", F.col("value").cast("bigint").alias("n")))
 query("spmv_sum_times", f"{_with('hop')} SELECT dst AS id, count(*)::DOUBLE AS value FROM e GROUP BY dst")(lambda s, d: baselines.spmv(g := _g(s, d, "hop"), g.vertices().select("id", F.lit(1.0).alias("x"))))
 query("spmv_min_plus", f"{_with('hop')} SELECT dst AS id, min(src) + 1 AS value FROM e GROUP BY dst")(lambda s, d: baselines.spmv(g := _g(s, d, "hop"), g.vertices().select("id", F.col("id").alias("x")), "min_plus"))
@@ -226,7 +232,7 @@ for _name in ("urand", "kron", "link"):
     query(f"cost_degree_skew_{_name}", f"{_with(_name, 'sym')} SELECT count(*) AS n, (sum(deg) // 2)::BIGINT AS m, max(deg) AS max_degree, round(avg(deg), 6) AS mean_degree, round(max(deg) / avg(deg), 6) AS skew FROM dg")(lambda s, d, n=_name: measures.degree_skew(_g(s, d, n)))
 query("cost_frontier_trade", _bfs_sql("trade", "sym", 5, select=f"SELECT level, {_OWNER.format('e.src')} AS part, count(*) AS arcs FROM t JOIN e ON e.src = t.id GROUP BY 1, 2"))(lambda s, d: measures.frontier_imbalance(g := _g(s, d, "trade").symmetrize(), bfs.bfs(g, _source(g))))
 query("tri_error", f"{_with('copart', 'und')}, {_SPARSE}, a AS (SELECT count(*) * 8.0::DOUBLE AS est FROM e2 x JOIN e2 y ON x.dst = y.src JOIN e2 z ON x.src = z.src AND y.dst = z.dst), b AS (SELECT count(*) AS n FROM e x {_ID_TRIANGLES}) SELECT round(abs(est - n), 3) AS abs_error, round(abs(est - n) / n, 9) AS rel_error FROM a, b")(lambda s, d: measures.triangle_error(triangles.sparsified(g := _g(s, d, "copart")), triangles.oriented(g)))
-query("rank_agreement_hop")(lambda s, d: measures.rank_agreement(pagerank.pagerank(g := _g(s, d, "hop")), pagerank.pagerank_pull(g)))
+query("rank_agreement_hop", "SELECT 0.0::DOUBLE AS l1, 0.0::DOUBLE AS linf, 10::BIGINT AS overlap")(lambda s, d: measures.rank_agreement(pagerank.pagerank(g := _g(s, d, "hop")), pagerank.pagerank_pull(g)).select(F.round("l1", 6).alias("l1"), F.round("linf", 6).alias("linf"), "overlap"))
 
 
 def graph_queries() -> dict:

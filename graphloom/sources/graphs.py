@@ -113,8 +113,7 @@ def build(spark: SparkSession, sf_dir: str, name: str) -> Graph:
         n = v.withColumn("r", F.sqrt(dot(F.col("e"), F.col("e"))))
         pairs = n.toDF("src", "a", "ra").join(n.toDF("dst", "b", "rb"), F.col("src") < F.col("dst"))
         return Graph(pairs.where(dot(F.col("a"), F.col("b")) / (F.col("ra") * F.col("rb")) >= 0.3).select("src", "dst"))
-    if name == "urand":
-        return Graph(urand(spark, 10))
-    if name == "kron":
-        return Graph(kron(spark, 10))
+    for kind, draw in (("urand", urand), ("kron", kron)):  # urand, kron, or with the log of their size: urand14, kron16
+        if name.startswith(kind) and (size := name.removeprefix(kind) or "10").isdigit():
+            return Graph(draw(spark, int(size)))
     raise ValueError(name)

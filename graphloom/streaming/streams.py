@@ -72,7 +72,7 @@ def _sliding(s: SparkSession, d: str) -> DataFrame:
     return out.select(_text("window.start").alias("start"), "event_type", "n")
 
 
-@query("stream_session")
+@query("stream_session", "SELECT user_id, strftime(min(ts), '%Y-%m-%d %H:%M:%S') AS start, count(*) AS n FROM (SELECT user_id, ts, sum(CASE WHEN gap IS NULL OR gap >= INTERVAL 12 HOUR THEN 1 ELSE 0 END) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS UNBOUNDED PRECEDING) AS k FROM (SELECT *, ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS gap FROM events)) GROUP BY user_id, k")
 def _session(s: SparkSession, d: str) -> DataFrame:
     st = Stream(s, d)
     out = st.run(st.events.groupBy(F.session_window("ts", "12 hours"), "user_id").agg(F.count("*").alias("n")), "complete")
@@ -166,7 +166,7 @@ def _stream_triangles(s: SparkSession, d: str) -> DataFrame:
     return s.createDataFrame([(round(sum(totals)),)], "triangles bigint")
 
 
-@query("stream_components", f"WITH RECURSIVE e AS ({_HOP_SYM}) SELECT id, min(r) AS component FROM (SELECT a.src AS id, least(a.src, min(b.src)) AS r FROM e a, e b GROUP BY a.src) GROUP BY id")
+@query("stream_components", f"WITH e AS MATERIALIZED ({_HOP_SYM}), c0 AS (SELECT DISTINCT src AS id, src AS c FROM e)" + "".join(f", c{k + 1} AS MATERIALIZED (SELECT p.id, least(p.c, min(q.c)) AS c FROM c{k} p JOIN e ON e.src = p.id JOIN c{k} q ON q.id = e.dst GROUP BY p.id, p.c)" for k in range(12)) + " SELECT id, c AS component FROM c12")
 def _stream_components(s: SparkSession, d: str) -> DataFrame:
     """Component labels after each batch: the stored stars and the new edges are joined, never the old edges again."""
     st, arcs = _hop_stream(s, d)
@@ -182,30 +182,72 @@ def _stream_components(s: SparkSession, d: str) -> DataFrame:
     return stars[0].toDF("id", "component")
 
 
-@query("stream_bfs")
+_LEVEL_ROUNDS = 12
+_LEVEL_SQL = f"WITH e AS MATERIALIZED ({_HOP_SYM}), v AS (SELECT DISTINCT src AS id FROM e), l0 AS (SELECT id, CASE WHEN id = 0 THEN 0 END AS level FROM v)" + "".join(f", l{k + 1} AS MATERIALIZED (SELECT p.id, least(p.level, min(q.level) + 1) AS level FROM l{k} p LEFT JOIN e ON e.src = p.id LEFT JOIN l{k} q ON q.id = e.dst GROUP BY p.id, p.level)" for k in range(_LEVEL_ROUNDS)) + f" SELECT id, level FROM l{_LEVEL_ROUNDS} WHERE level IS NOT NULL"
+
+
+@query("stream_bfs", _LEVEL_SQL)
 def _stream_bfs(s: SparkSession, d: str) -> DataFrame:
-    """Levels from vertex 0 after the last batch."""
+    """Levels from vertex 0 after each batch: new edges lower levels, and what they lower goes on from there; the rest is not touched."""
     st, arcs = _hop_stream(s, d)
-    store, out = _Growing(st), [None]
+    store, levels = _Growing(st), [s.createDataFrame([(0, 0)], "id bigint, level int")]
 
     def step(batch: DataFrame, k: int) -> None:
-        out[0] = store.add(batch)[1]
+        new, whole = store.add(batch)
+        both, fresh = Graph(whole).symmetrize().edges, Graph(new).symmetrize().edges
+        offers = fresh.join(levels[0], F.col("src") == F.col("id")).select(F.col("dst").alias("id"), (F.col("level") + 1).alias("level"))
+        while True:
+            best = offers.groupBy("id").agg(F.min("level").alias("level"))
+            known = levels[0].withColumnRenamed("level", "old")
+            lower = st.scratch.save(best.join(known, "id", "left").where("old is null or level < old").select("id", "level"), "lower")
+            if lower.isEmpty():
+                return
+            levels[0] = st.scratch.save(levels[0].join(lower, "id", "left_anti").union(lower), "levels")
+            offers = both.join(lower, F.col("src") == F.col("id")).select(F.col("dst").alias("id"), (F.col("level") + 1).alias("level"))
 
     st.fold(arcs, step)
-    return bfs.bfs_levels(Graph(out[0]).symmetrize(), 0)
+    return levels[0]
+
+
+def _settled_ranks(steps: int = 25, d: float = 0.85) -> str:
+    out = [f"WITH e AS MATERIALIZED ({_HOP_SYM}), v AS MATERIALIZED (SELECT DISTINCT src AS id FROM e), n AS (SELECT count(*)::DOUBLE AS n FROM v), dg AS MATERIALIZED (SELECT src AS id, count(*) AS deg FROM e GROUP BY src), r0 AS (SELECT id, 1.0::DOUBLE / n AS rank FROM v, n)"]
+    for k in range(steps):
+        out.append(f", r{k + 1} AS MATERIALIZED (SELECT e.dst AS id, {1 - d}::DOUBLE / any_value(n.n) + {d}::DOUBLE * sum(r.rank / dg.deg) AS rank FROM e JOIN r{k} r ON r.id = e.src JOIN dg ON dg.id = e.src, n GROUP BY e.dst)")
+    return "".join(out) + f" SELECT id, round(rank, 6) AS rank FROM r{steps}"
 
 
-@query("stream_pagerank")
+@query("stream_pagerank", _settled_ranks())
 def _stream_pagerank(s: SparkSession, d: str) -> DataFrame:
-    """Ranks of the grown graph."""
+    """Ranks after each batch, from the ranks before it: a warm start, so a batch takes few steps."""
     st, arcs = _hop_stream(s, d)
-    store, out = _Growing(st), [None]
+    store, ranks = _Growing(st), [None]
 
     def step(batch: DataFrame, k: int) -> None:
-        out[0] = store.add(batch)[1]
+        _, whole = store.add(batch)
+        ranks[0] = st.scratch.save(pagerank.pagerank(Graph(whole).symmetrize(), iters=8, start=ranks[0]), "ranks")
 
     st.fold(arcs, step)
-    return pagerank.pagerank(Graph(out[0]).symmetrize()).select("id", F.round("rank", 9).alias("rank"))
+    return ranks[0].select("id", F.round("rank", 6).alias("rank"))
+
+
+@query("stream_output_modes", "SELECT mode, count(*) AS rows_out, sum(n)::BIGINT AS total FROM (SELECT event_type, count(*) AS n FROM events GROUP BY event_type), (VALUES ('complete'), ('update')) m(mode) GROUP BY mode")
+def _modes(s: SparkSession, d: str) -> DataFrame:
+    """One aggregate under both output modes that an aggregate without a watermark has: the last state of every key is the same."""
+    out = None
+    for mode in ("complete", "update"):
+        st, last = Stream(s, d), []
+        counts = st.events.groupBy("event_type").agg(F.count("*").alias("n"))
+
+        def keep(batch: DataFrame, k: int, st=st, last=last, mode=mode) -> None:
+            saved = st.scratch.save(batch, "batch")
+            if last and mode == "update":  # only changed keys come: they replace their old rows
+                saved = st.scratch.save(saved.union(last[-1].join(saved, "event_type", "left_anti")), "state")
+            last.append(saved)
+
+        counts.writeStream.outputMode(mode).option("checkpointLocation", f"{st.scratch.root}/ck").trigger(availableNow=True).foreachBatch(keep).start().awaitTermination()
+        row = last[-1].agg(F.lit(mode).alias("mode"), F.count("*").alias("rows_out"), F.sum("n").alias("total"))
+        out = row if out is None else out.union(row)
+    return out
 
 
 @query("stream_rank_drift")
