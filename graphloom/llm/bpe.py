@@ -27,7 +27,7 @@ import pyarrow as pa
 import regex
 from pyspark.sql import DataFrame
 
-from graphloom.llm.common import arrow_rows, joined_bytes, lean, trim
+from graphloom.llm.common import arrow_rows, joined_bytes, lean, slices, trim
 from graphloom.llm.shingles import _RAW_BYTE, U, word_hashes
 
 #: Spaces of Unicode, by which the vocabulary's normalizer and word pattern split. Fixed values.
@@ -35,7 +35,7 @@ _SPACES = "\t\n\x0b\x0c\r \x85\xa0  -     　"
 _ODD = regex.compile("[\x1c-\x1f]")  # str.split() takes these for spaces
 _RUN = regex.compile(f"[^{_SPACES}]+")
 #: Entries that a worker's memory of chunks holds before its older half is let go (a word's and prefix's memory: half of that).
-CACHE_CHUNKS = 300_000
+CACHE_CHUNKS = 100_000
 _SLOTS = 20  # bits of a slot of the chunk memory, which is emptied when 5/8 full
 
 
@@ -100,7 +100,7 @@ class TokenAutomaton:
         self.cache = Memory(self._chunk, CACHE_CHUNKS)
         self.words = Memory(self._word, CACHE_CHUNKS // 2)
         self.states: dict[str, int] = {}
-        if len(getattr(self, "arcs", ())) > CACHE_CHUNKS // 2 or not hasattr(self, "arcs"):
+        if len(getattr(self, "arcs", ())) > 2 * CACHE_CHUNKS or not hasattr(self, "arcs"):
             self.arcs: dict[int, bool] = {}
         self.pool = None
 
@@ -307,8 +307,8 @@ class TokenAutomaton:
     def _forget(self) -> None:
         """An empty memory of chunks: open addressing by hash, and a pool of their ids."""
         self.chunk_keys = np.zeros(1 << _SLOTS, U)
-        self.chunk_at, self.chunk_len = np.zeros(1 << _SLOTS, np.int64), np.zeros(1 << _SLOTS, np.int64)
-        self.pool, self.pooled, self.held = np.zeros(1 << 20, np.uint32), 0, 0
+        self.chunk_at, self.chunk_len = np.zeros(1 << _SLOTS, np.int32), np.zeros(1 << _SLOTS, np.int32)
+        self.pool, self.pooled, self.held = np.zeros(1 << 18, np.uint32), 0, 0
 
     def _find(self, hashes: np.ndarray) -> np.ndarray:
         """Slot of each hash, -1 where it is not held."""
@@ -359,15 +359,15 @@ class TokenAutomaton:
             where = miss[first]
             self._hold(new, self._spell_chunks([raw[i:j].decode("utf-8", "replace") for i, j in zip(start[where].tolist(), end[where].tolist(), strict=True)]))
             slot[miss] = self._find(hashes[miss])
-        size = self.chunk_len[slot]
+        size = self.chunk_len[slot].astype(np.int64)
         before = np.r_[0, np.cumsum(size)]
-        take = np.repeat(self.chunk_at[slot] - before[:-1], size) + np.arange(before[-1])
+        take = np.repeat(self.chunk_at[slot].astype(np.int64) - before[:-1], size) + np.arange(before[-1])
         return self.pool[take], before[at]
 
     def encode_column(self, column: pa.Array) -> list[bytes]:
         """encode() of a column of texts; nulls are empty. Texts with a special string go one by one."""
         for memory in (self.states, self.arcs):
-            if len(memory) > CACHE_CHUNKS:
+            if len(memory) > 2 * CACHE_CHUNKS:
                 memory.clear()
         if not hasattr(self, "next"):
             self._tables()
@@ -378,7 +378,7 @@ class TokenAutomaton:
         lo, n = 0, len(offsets) - 1
         with np.errstate(over="ignore"):
             while lo < n:
-                hi = max(lo + 1, int(np.searchsorted(offsets, offsets[lo] + (1 << 20), "right")) - 1)
+                hi = max(lo + 1, int(np.searchsorted(offsets, offsets[lo] + (1 << 19), "right")) - 1)
                 cut = offsets[lo : hi + 1]
                 ids, bounds = self._encode_slice(data[cut[0] : cut[-1]], cut - cut[0])
                 raw, bounds = ids.tobytes(), (4 * bounds).tolist()
@@ -422,7 +422,7 @@ class TokenAutomaton:
 
     def _plain(self, text: str) -> bytes:
         for memory in (self.states, self.arcs):
-            if len(memory) > CACHE_CHUNKS:
+            if len(memory) > 2 * CACHE_CHUNKS:
                 memory.clear()
         cache = self.cache
         return b"".join([cache[c] for c in (text.split() if not _ODD.search(text) else _RUN.findall(text))])
@@ -495,7 +495,7 @@ def encode_documents(docs: DataFrame, path: str, id_col: str = "doc_id", text_co
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         with borrowed(path) as a:
-            for b in batches:
+            for b in (part for batch in batches for part in slices(batch, 1)):
                 yield arrow_rows(ENCODED, {"doc_id": b.column(0), "ids": a.encode_column(b.column(1))})
 
     return docs.select(docs[id_col].cast("bigint"), docs[text_col]).mapInArrow(lean(run), ENCODED)
@@ -522,7 +522,7 @@ def round_trip_digests(docs: DataFrame, path: str, id_col: str = "doc_id", text_
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         with borrowed(path) as a:
-            for b in batches:
+            for b in (part for batch in batches for part in slices(batch, 1)):
                 out: dict[str, list] = {k: [] for k in ("n_tokens", "ids_sha256", "decoded_sha256", "ids_crc32")}
                 for ids in a.encode_column(b.column(1)):
                     out["n_tokens"].append(len(ids) // 4)

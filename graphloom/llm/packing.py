@@ -20,7 +20,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 
 from graphloom.llm.bpe import borrowed
-from graphloom.llm.common import arrow_rows, lean
+from graphloom.llm.common import arrow_rows, lean, slices
 
 PIECES = "doc_id bigint, start bigint, length bigint, ids_crc32 bigint, doc_tokens bigint, sequence_id bigint, offset bigint"
 END_ID = 1
@@ -68,16 +68,16 @@ def difference(sizes: list[int], windows: int) -> list[list[int]]:
     return out + [[] for _ in range(windows - len(out))]
 
 
-def pack(sizes: list[int], capacity: int) -> list[list[int]]:
+def pack(sizes: list[int], capacity: int, more: int = 0) -> list[list[int]]:
     """Near-equal windows of whole items by differencing, as lists of items. No item exceeds the capacity.
 
-    The window count starts at the fewest that can hold the items and rises as long as the heaviest
+    The window count starts at the fewest that can hold the items (and `more`) and rises as long as the heaviest
     window exceeds the capacity: half the way to where it would not if it stood as far above the mean then.
     """
     if not sizes:
         return []
     total = sum(sizes)
-    windows = -(-total // capacity)
+    windows = -(-total // capacity) + more
     while True:
         dealt = [w for w in difference(sizes, windows) if w]
         heaviest = max(sum(sizes[i] for i in w) for w in dealt)
@@ -97,14 +97,17 @@ def pack_documents(docs: DataFrame, path: str, capacity: int = 2048, block_windo
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         close = END_ID.to_bytes(4, "little")
         base = TaskContext.get().partitionId() << 33
-        sequence = 0
+        sequence, more = 0, 0
         rows: list[tuple] = []
         rest: list[tuple[int, int, bytes, int]] = []
         waiting = 0
 
         def settle() -> pa.RecordBatch:
-            nonlocal sequence, waiting
-            for window in pack([len(r[2]) // 4 for r in rest], capacity):
+            nonlocal sequence, waiting, more
+            windows = pack([len(r[2]) // 4 for r in rest], capacity, max(0, more - 1))
+            if waiting >= block_windows * capacity:  # a whole block: the next one will take about as many
+                more = len(windows) - -(-waiting // capacity)
+            for window in windows:
                 offset = 0
                 for i in window:
                     doc, start, ids, total = rest[i]
@@ -118,7 +121,7 @@ def pack_documents(docs: DataFrame, path: str, capacity: int = 2048, block_windo
             return out
 
         with borrowed(path) as a:
-            for b in batches:
+            for b in (part for batch in batches for part in slices(batch, 1)):
                 for doc, ids in zip(b.column(0).to_pylist(), a.encode_column(b.column(1)), strict=True):
                     ids += close
                     total, start = len(ids) // 4, 0
