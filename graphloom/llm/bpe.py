@@ -27,7 +27,7 @@ import pyarrow as pa
 import regex
 from pyspark.sql import DataFrame
 
-from graphloom.llm.common import arrow_rows, joined_bytes, lean, slices, trim
+from graphloom.llm.common import arrow_rows, by_bytes, joined_bytes, lean, slices, trim
 from graphloom.llm.shingles import _RAW_BYTE, U, word_hashes
 
 #: Spaces of Unicode, by which the vocabulary's normalizer and word pattern split. Fixed values.
@@ -498,7 +498,7 @@ def encode_documents(docs: DataFrame, path: str, id_col: str = "doc_id", text_co
             for b in (part for batch in batches for part in slices(batch, 1)):
                 yield arrow_rows(ENCODED, {"doc_id": b.column(0), "ids": a.encode_column(b.column(1))})
 
-    return docs.select(docs[id_col].cast("bigint"), docs[text_col]).mapInArrow(lean(run), ENCODED)
+    return by_bytes(docs).select(docs[id_col].cast("bigint"), docs[text_col]).mapInArrow(lean(run), ENCODED)
 
 
 def decode_documents(encoded: DataFrame, path: str) -> DataFrame:
@@ -531,4 +531,4 @@ def round_trip_digests(docs: DataFrame, path: str, id_col: str = "doc_id", text_
                     out["ids_crc32"].append(zlib.crc32(ids))
                 yield arrow_rows(DIGESTS, {"doc_id": b.column(0), **out})
 
-    return docs.select(docs[id_col].cast("bigint"), docs[text_col]).mapInArrow(lean(run), DIGESTS)
+    return by_bytes(docs).select(docs[id_col].cast("bigint"), docs[text_col]).mapInArrow(lean(run), DIGESTS)

@@ -35,6 +35,12 @@ def trim() -> None:
         pass
 
 
+def by_bytes(df: DataFrame) -> DataFrame:
+    """df, whose rows go to Python about 4 MB at a time: a setting that a running session takes, and that only bounds Arrow batches."""
+    df.sparkSession.conf.set("spark.sql.execution.arrow.maxBytesPerBatch", str(4 << 20))
+    return df
+
+
 def table(spark, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
@@ -83,7 +89,7 @@ def by_sorted_group(df: DataFrame, keys: list[str], order: list[str], kernel: Ca
     operations, the others cost one Python call, and results are joined before they go back. A group is
     held in memory whole, so callers bound it (blocked_pairs).
     """
-    dealt = df.repartition(*[F.col(k) for k in keys]).sortWithinPartitions(*keys, *order)
+    dealt = by_bytes(df).repartition(*[F.col(k) for k in keys]).sortWithinPartitions(*keys, *order)
     width = len(keys)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -132,7 +138,7 @@ def by_sorted_groups(df: DataFrame, keys: list[str], order: list[str], kernel: C
     For groups so small that a call for each would cost more than its work. Groups end with a batch or wait
     for the next one, so callers bound them (blocked_pairs).
     """
-    dealt = df.repartition(*[F.col(k) for k in keys]).sortWithinPartitions(*keys, *order)
+    dealt = by_bytes(df).repartition(*[F.col(k) for k in keys]).sortWithinPartitions(*keys, *order)
     width = len(keys)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -189,7 +195,7 @@ def keep_by_score(docs: DataFrame, make: Callable[[], Callable[[pa.Array], np.nd
                 yield b.filter(pa.array(passes(score(b.column(text_at)))))
 
     inner = StructType([StructField(f"c{i}", f.dataType) for i, f in enumerate(docs.schema.fields)])
-    return docs.toDF(*inner.names).mapInArrow(lean(run), inner).toDF(*docs.columns)
+    return by_bytes(docs).toDF(*inner.names).mapInArrow(lean(run), inner).toDF(*docs.columns)
 
 
 def blocked_pairs(df: DataFrame, group: list[str], blocks: DataFrame, member: str) -> DataFrame:

@@ -20,7 +20,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 
 from graphloom.llm.bpe import borrowed
-from graphloom.llm.common import arrow_rows, lean, slices
+from graphloom.llm.common import arrow_rows, by_bytes, lean, slices
 
 PIECES = "doc_id bigint, start bigint, length bigint, ids_crc32 bigint, doc_tokens bigint, sequence_id bigint, offset bigint"
 END_ID = 1
@@ -139,4 +139,4 @@ def pack_documents(docs: DataFrame, path: str, capacity: int = 2048, block_windo
             if rows or rest:
                 yield settle()
 
-    return docs.select(docs[id_col].cast("bigint"), docs[text_col]).mapInArrow(lean(run), PIECES)
+    return by_bytes(docs).select(docs[id_col].cast("bigint"), docs[text_col]).mapInArrow(lean(run), PIECES)

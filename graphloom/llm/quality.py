@@ -16,7 +16,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from graphloom.llm.common import arrow_rows, joined_bytes, lean
+from graphloom.llm.common import arrow_rows, by_bytes, joined_bytes, lean
 from graphloom.llm.shingles import U, mix, word_hashes
 
 NAMES = (
@@ -188,7 +188,7 @@ def fit_quality(docs: DataFrame, labels: DataFrame, rows: int = TRAIN_ROWS) -> B
                 yield arrow_rows(schema, {"label": b.column(0), "x": [r.tobytes() for r in statistics(b.column(1))]})
 
     sample = F.broadcast(training_ids(labels, "quality", rows))
-    found = docs.select(docs["doc_id"].cast("bigint").alias("doc_id"), docs["text"]).join(sample, "doc_id").select("label", "text").mapInArrow(lean(run), schema)
+    found = by_bytes(docs).select(docs["doc_id"].cast("bigint").alias("doc_id"), docs["text"]).join(sample, "doc_id").select("label", "text").mapInArrow(lean(run), schema)
     got = sorted((r.label, bytes(r.x)) for r in found.collect())
     x = np.frombuffer(b"".join(r[1] for r in got), float).reshape(-1, len(NAMES))
     return grow(x, np.array([r[0] for r in got], float))
@@ -204,7 +204,7 @@ def score_quality(docs: DataFrame, model: BoostedTrees) -> DataFrame:
         for b in batches:
             yield arrow_rows(SCORED, {"doc_id": b.column(0), "score": model.score(statistics(b.column(1)))})
 
-    return docs.select(docs["doc_id"].cast("bigint"), docs["text"]).mapInArrow(lean(run), SCORED)
+    return by_bytes(docs).select(docs["doc_id"].cast("bigint"), docs["text"]).mapInArrow(lean(run), SCORED)
 
 
 def judge(scored: DataFrame, least: float) -> DataFrame:

@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from graphloom.llm.common import arrow_rows, blocked_pairs, by_sorted_group, ints, lean
+from graphloom.llm.common import arrow_rows, blocked_pairs, by_bytes, by_sorted_group, ints, lean
 from graphloom.llm.shingles import U, minwise, mix, seeds, shingle_sets
 from graphloom.operators.components import components_of_links, star_edges
 from graphloom.plans.scratch import Scratch
@@ -47,7 +47,7 @@ def sign_documents(docs: DataFrame, k: int) -> DataFrame:
                 sig.append(minwise(s, coordinates).tobytes() if len(s) else b"")
             yield arrow_rows(SIGNED, {"doc_id": b.column(0), "n": n, "k1": np.array(k1, U).view(np.int64), "k2": np.array(k2, U).view(np.int64), "sig": sig})
 
-    return docs.select(docs["doc_id"].cast("bigint"), docs["text"]).mapInArrow(lean(run), SIGNED)
+    return by_bytes(docs).select(docs["doc_id"].cast("bigint"), docs["text"]).mapInArrow(lean(run), SIGNED)
 
 
 def _signatures(column: pa.Array) -> np.ndarray:

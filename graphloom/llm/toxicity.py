@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from graphloom.llm.common import arrow_rows, lean, slices, texts
+from graphloom.llm.common import arrow_rows, by_bytes, lean, slices, texts
 from graphloom.llm.quality import SCORED, in_fold, judge
 
 INSULT, THREAT, TARGET, NEGATION, REPORT, END = 1, 2, 3, 4, 5, 6
@@ -241,7 +241,7 @@ def fit_toxicity(docs: DataFrame, labels: DataFrame, positive_rows: int = POSITI
     ids = usable.select(labels["doc_id"].cast("bigint").alias("doc_id"), labels["toxic"].cast("int").alias("toxic"))
     order = [F.xxhash64("doc_id"), "doc_id"]
     chosen = F.broadcast(ids.where("toxic = 1").orderBy(*order).limit(positive_rows).union(ids.where("toxic = 0").orderBy(*order).limit(negative_rows)))
-    sample = docs.select(docs["doc_id"].cast("bigint").alias("doc_id"), docs["text"]).join(chosen, "doc_id").select("toxic", "text")
+    sample = by_bytes(docs).select(docs["doc_id"].cast("bigint").alias("doc_id"), docs["text"]).join(chosen, "doc_id").select("toxic", "text")
     sizes = {r.toxic: r["n"] for r in sample.groupBy("toxic").agg(F.count("*").alias("n")).collect()}
     lexicon = learn_lexicon(sample, sizes.get(1, 0), sizes.get(0, 0))
     schema = "toxic int, " + ", ".join(f"e{i} int" for i in range(EVENTS)) + ", clauses int"
@@ -266,7 +266,7 @@ def score_toxicity(docs: DataFrame, model: ToxicityModel) -> DataFrame:
         for b in (part for batch in batches for part in slices(batch, 1)):
             yield arrow_rows(SCORED, {"doc_id": b.column(0), "score": score(b.column(1))})
 
-    return docs.select(docs["doc_id"].cast("bigint"), docs["text"]).mapInArrow(lean(run), SCORED)
+    return by_bytes(docs).select(docs["doc_id"].cast("bigint"), docs["text"]).mapInArrow(lean(run), SCORED)
 
 
 def classify_toxicity(docs: DataFrame, labels: DataFrame, least: float = 0.5) -> DataFrame:
