@@ -223,14 +223,14 @@ def near_duplicate_components(docs: DataFrame, k: int = 3, numerator: int = 85,
     threshold = numerator / denominator
     signed = scratch.save(sign_documents(docs, k), "signed")
     classes = scratch.save(signed.where("n > 0").groupBy("n", "k1", "k2").agg(F.min("doc_id").alias("rid"), F.first("sig").alias("sig")), "classes")
-    coarse = components_of_links(coarse_links(classes, threshold, trees, scratch))
+    coarse = components_of_links(scratch.save(coarse_links(classes, threshold, trees, scratch), "coarse"))  # saved, as a task would need two Python workers else
     clusters = scratch.save(coarse.select(F.col("id").alias("rid"), F.col("component").alias("cluster")).join(classes.select("rid", "n"), "rid"), "clusters")
     sizes = clusters.groupBy("cluster").agg(F.ceil(F.greatest(F.count("*") / BLOCK, F.sum("n") / (BLOCK * 8192))).cast("int").alias("n_blocks"))
     run, schema = _full_sets(k)
     sets = docs.select(docs["doc_id"].cast("bigint").alias("rid"), docs["text"]).join(clusters.select("rid"), "rid", "left_semi").mapInArrow(lean(run), schema)
     dealt = blocked_pairs(clusters, ["cluster"], sizes, "rid").join(sets, "rid")
     exact = by_sorted_group(dealt.select("cluster", "bi", "bj", "rid", "block", "hashes"), ["cluster", "bi", "bj"], ["rid"], _exact_links(numerator, denominator), LINK)
-    linked = components_of_links(exact).select(F.col("id").alias("rid"), "component")
+    linked = components_of_links(scratch.save(exact, "exact")).select(F.col("id").alias("rid"), "component")
     component = F.coalesce("component", "rid", "doc_id")
     return (
         signed.select("doc_id", "n", "k1", "k2")
