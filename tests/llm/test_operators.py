@@ -345,6 +345,20 @@ def test_crowded_keys_are_compared_in_blocks(make_docs, monkeypatch):
     assert got == {i: int(i >= 60) for i in range(80)}
 
 
+def test_rows_of_a_key_meet_however_batches_cut_them():
+    rng = random.Random(8)
+    for _ in range(300):
+        rows = [((rng.randint(1, 4) << lines.KEY_AT) | (rng.choice([20, 21, 40]) << lines.CHARS_AT) | rng.choice([0, 1]), rng.randint(1, 4)) for _ in range(rng.randint(0, 14))]
+        rows.sort(key=lambda r: r[0])  # lines of one code in any order
+        cuts = sorted(rng.randint(0, len(rows)) for _ in range(rng.randint(0, 5)))
+        parts = [rows[a:b] for a, b in zip([0, *cuts], [*cuts, len(rows)], strict=True)]
+        batches = [pa.RecordBatch.from_arrays([pa.array([r[k] for r in p], pa.int64()) for k in (0, 1)], names=["code", "h"]) for p in parts]
+        got = {(r["code"], r["h"]) for b in lines._meeting(1)(iter(batches)) for r in b.to_pylist()}
+        chars = lambda code: code >> lines.CHARS_AT & lines.MOST_CHARS
+        want = {a for a in rows for b in rows if a[1] != b[1] and a[0] >> lines.KEY_AT == b[0] >> lines.KEY_AT and abs(chars(a[0]) - chars(b[0])) <= 1}
+        assert want <= got <= set(rows)
+
+
 # ---- 9 -----------------------------------------------------------------------------------------
 
 
