@@ -3,8 +3,10 @@
 A recording becomes frames of twelve pitch-class energies. Differences of rectangle sums over that
 image, read off its integral image, are quantised to two bits each and packed into one 32-bit integer
 a frame. Recordings align where equal integers recur at one offset: an offset histogram proposes the
-alignment, and the share of differing bits over the overlap decides. Equal fingerprints are one class,
-so a recording copied many times is searched and found once.
+alignment, and the share of differing bits over the overlap decides. Pairs that the histogram does not
+settle are compared at every offset: agreeing bits are correlations, read off products of spectra, and
+what comes near the bound is counted bit by bit. Equal fingerprints are one class, so a recording
+copied many times is searched and found once.
 """
 
 from __future__ import annotations
@@ -26,6 +28,7 @@ FRAME, HOP, RATE = 1024, 256, 4000
 LOWEST, HIGHEST = 80.0, 1800.0
 SPAN = 8  # frames that a filter may cover
 MAX_BIT_ERROR, MIN_VOTES = 0.2, 4
+BLOCK = 2048  # fingerprints that are compared with as many others at once, at most
 
 
 def wav_samples(media: bytes | None) -> np.ndarray:
@@ -173,14 +176,108 @@ def _bit_errors(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield arrow_rows("query_class bigint, match_class bigint, offset int, overlap int, bit_error double", {"query_class": b.column(0), "match_class": b.column(1), "offset": b.column(2), "overlap": np.array([n for n, _ in out], np.int32), "bit_error": [e for _, e in out]})
 
 
+def _blocks(side: str, most: int) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
+    """(cls, print) -> one row for up to `most` fingerprints or about 1 MB of them."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            cls, prints = ints(b.column(0)).astype(np.int64), b.column(1).to_pylist()
+            ends = np.cumsum([len(p) for p in prints])
+            lo = 0
+            while lo < len(prints):
+                full = int(np.searchsorted(ends, (ends[lo - 1] if lo else 0) + (1 << 20), "right"))
+                hi = max(lo + 1, min(lo + most, full))
+                sizes = np.array([len(p) // 4 for p in prints[lo:hi]], np.int32)
+                yield arrow_rows(f"{side}_ids binary, {side}_sizes binary, {side}_prints binary", {f"{side}_ids": [cls[lo:hi].tobytes()], f"{side}_sizes": [sizes.tobytes()], f"{side}_prints": [b"".join(prints[lo:hi])]})
+                lo = hi
+
+    return run
+
+
+def _groups(sizes: np.ndarray, most: int) -> Iterator[tuple[int, np.ndarray]]:
+    """(power of two from the longest up, rows): rows of like length, `most` of them or fewer where they are long."""
+    width = 1 << np.ceil(np.log2(np.maximum(sizes, 1))).astype(int)
+    for w in np.unique(width):
+        rows = np.flatnonzero(width == w)
+        step = max(1, min(most, (1 << 17) // int(w)))
+        for lo in range(0, len(rows), step):
+            yield int(w), rows[lo : lo + step]
+
+
+def _spectra(prints: list[np.ndarray], n: int) -> np.ndarray:
+    """frequencies x rows x 32: spectra of each bit's signs, padded with zeros to n."""
+    x = np.zeros((len(prints), 32, n), np.float32)
+    for i, p in enumerate(prints):
+        x[i, :, : len(p)] = ((p[None, :] >> np.arange(32, dtype=np.uint32)[:, None]) & 1).astype(np.float32) * 2 - 1
+    return np.ascontiguousarray(np.fft.rfft(x, axis=2).astype(np.complex64).transpose(2, 0, 1))
+
+
+def near_offsets(queries: list[np.ndarray], matches: list[np.ndarray], max_bit_error: float) -> Iterator[tuple[int, int, int, int, float]]:
+    """(query, match, offset, overlap, bit_error): each pair that some offset aligns within the bound over half of the shorter one; the
+    offset of least error (ties: most overlap, nearest 0, least). Nothing is passed over: spectra only tell where counting is needed."""
+    qs, ms = np.array([len(p) for p in queries]), np.array([len(p) for p in matches])
+    for qw, qi in _groups(qs, 32):
+        kept: dict[int, np.ndarray] = {}
+        for mw, mi in _groups(ms, 256):
+            n = 2 * max(qw, mw)
+            if n not in kept:
+                kept = {n: np.conj(_spectra([queries[i] for i in qi], n))}
+            found = kept[n] @ _spectra([matches[i] for i in mi], n).transpose(0, 2, 1)
+            same = np.fft.irfft(found.transpose(1, 2, 0), n, axis=2)  # agreeing less differing bits, by offset modulo n
+            at = np.arange(n)
+            at[at >= n // 2] -= n
+            m, k = qs[qi][:, None, None], ms[mi][None, :, None]
+            overlap = np.minimum(m, k - at) - np.maximum(0, -at)
+            slack = 1 + 1e-4 * 32 * np.sqrt(float(qw) * mw)
+            near = (2 * overlap >= np.minimum(m, k)) & (same >= 32 * overlap * (1 - 2 * max_bit_error) - slack)
+            best: dict[tuple[int, int], tuple[float, int, int, int]] = {}
+            for a, c, o in zip(*(x.tolist() for x in np.nonzero(near)), strict=True):
+                q, r, o = int(qi[a]), int(mi[c]), int(at[o])
+                lo, hi = max(0, -o), min(len(queries[q]), len(matches[r]) - o)
+                error = int(np.bitwise_count(queries[q][lo:hi] ^ matches[r][lo + o : hi + o]).sum()) / (32 * (hi - lo))
+                if error <= max_bit_error:
+                    best[q, r] = min(best.get((q, r), (2.0, 0, 0, 0)), (error, lo - hi, abs(o), o))
+            for (q, r), (error, less, _, o) in best.items():
+                yield q, r, o, -less, error
+
+
+def _compare(max_bit_error: float) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
+    def cut(ids: bytes, sizes: bytes, prints: bytes) -> tuple[np.ndarray, list[np.ndarray]]:
+        return np.frombuffer(ids, np.int64), np.split(np.frombuffer(prints, np.uint32), np.cumsum(np.frombuffer(sizes, np.int32))[:-1])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            for i in range(b.num_rows):
+                row = [b.column(j)[i].as_py() for j in range(6)]
+                (qids, queries), (mids, matches) = cut(*row[:3]), cut(*row[3:])
+                if out := list(near_offsets(queries, matches, max_bit_error)):
+                    q, m, o, n, e = zip(*out, strict=True)
+                    yield arrow_rows(CHECKED, {"query_class": qids[list(q)], "match_class": mids[list(m)], "offset": np.array(o, np.int32), "overlap": np.array(n, np.int32), "bit_error": list(e)})
+
+    return run
+
+
+CHECKED = "query_class bigint, match_class bigint, offset int, overlap int, bit_error double"
+
+
+def _every_pair(scratch: Scratch, classes: DataFrame, max_bit_error: float) -> DataFrame:
+    """CHECKED rows of all pairs of a query's class and any class, block by block; a block pair is one task's own small problem."""
+    parts = int(classes.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    block = lambda rows, side, most: rows.select("cls", "print").mapInArrow(lean(_blocks(side, most)), f"{side}_ids binary, {side}_sizes binary, {side}_prints binary")
+    asked = scratch.save(block(classes.where("n_queries > 0").coalesce(1), "query", BLOCK // 4), "query_blocks")
+    others = scratch.save(block(classes.repartition(parts, "cls"), "match", BLOCK), "match_blocks").repartition(parts)
+    return scratch.save(asked.crossJoin(others).select(*[f"{s}_{c}" for s in ("query", "match") for c in ("ids", "sizes", "prints")]).mapInArrow(lean(_compare(max_bit_error)), CHECKED), "every_pair")
+
+
 def align_recordings(printed: DataFrame, is_query, max_bit_error: float = MAX_BIT_ERROR, min_votes: int = MIN_VOTES) -> DataFrame:
     """query_class, match_class, offset, overlap, bit_error, n_queries, n_copies.
 
     A class is all rows with one fingerprint, named by its least id. Each class that holds a query row
     is aligned with every class, its own included (offset 0, no errors): the offset with the most equal
-    integers (ties: the least), kept where at least min_votes of them (or all, in shorter recordings)
+    integers (ties: the least), settled where at least min_votes of them (or all, in shorter recordings)
     agree, the overlap covers half of the shorter recording, and the bit error is at most
-    max_bit_error. Rows without frames are in no class.
+    max_bit_error. Any other pair that meets these two bounds at some offset is there with the offset of
+    least bit error. Rows without frames are in no class.
     """
     scratch = Scratch(printed.sparkSession, "chroma")
     saved = scratch.save(printed.where("frames > 0").withColumn("query", is_query), "printed")
@@ -192,12 +289,15 @@ def align_recordings(printed: DataFrame, is_query, max_bit_error: float = MAX_BI
     side = lambda p: classes.select(F.col("cls").alias(f"{p}_class"), F.col("frames").alias(f"{p}_frames"), F.col("print").alias(f"{p}_print"))
     least = F.least(F.lit(min_votes), F.col("query_frames"), F.col("match_frames"))
     pairs = best.join(side("query"), "query_class").join(side("match"), "match_class").where((F.col("votes") >= least) | (F.col("query_class") == F.col("match_class")))
-    checked = pairs.select("query_class", "match_class", "offset", "query_print", "match_print").mapInArrow(lean(_bit_errors), "query_class bigint, match_class bigint, offset int, overlap int, bit_error double")
+    checked = pairs.select("query_class", "match_class", "offset", "query_print", "match_print").mapInArrow(lean(_bit_errors), CHECKED)
     sizes = classes.select(F.col("cls").alias("match_class"), "n_copies", F.col("frames").alias("mf")), classes.select(F.col("cls").alias("query_class"), "n_queries", F.col("frames").alias("qf"))
-    return (
+    by_votes = (
         checked.where(F.col("bit_error") <= max_bit_error)
         .join(sizes[0], "match_class")
         .join(sizes[1], "query_class")
         .where(2 * F.col("overlap") >= F.least("mf", "qf"))
         .select("query_class", "match_class", "offset", "overlap", "bit_error", "n_queries", "n_copies")
     )
+    settled = scratch.save(by_votes, "settled")
+    missed = _every_pair(scratch, classes, max_bit_error).join(settled.select("query_class", "match_class"), ["query_class", "match_class"], "left_anti")
+    return settled.unionByName(missed.join(sizes[0], "match_class").join(sizes[1], "query_class").select(*settled.columns))
