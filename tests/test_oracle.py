@@ -29,6 +29,14 @@ def test_query_equals_sql(spark, sf, name):
     assert rows(df.columns, [tuple(r) for r in df.collect()]) == rows(columns, got.fetchall())
 
 
+@pytest.mark.parametrize("name", ["graph_edges_kron", "kron_edges", "graph_edges_urand", "ds_urand_source", "cost_degree_skew_kron", "tri_naive_kron", "bfs_parent_urand"])
+def test_drawn_graphs_come_from_events(spark, sf, name):
+    assert "FROM events" in entry.oracle_sql()[name] and "range(" not in entry.oracle_sql()[name]
+    if "edges" in name:
+        assert [f.rsplit("/", 1)[1] for f in entry.queries()[name](spark, sf).inputFiles()] == ["events.parquet"]
+    test_query_equals_sql(spark, sf, name)
+
+
 def test_entry(spark):
     assert entry.entry(spark).count() == 20
 
