@@ -6,7 +6,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from graphloom.functions import joins, kernels
+from graphloom.functions import joins, kernels, tiles
 from graphloom.operators import baselines, bfs, measures, pagerank, triangles
 from graphloom.plans.graph import Graph, adjacency_edges
 from graphloom.sources.generators import kron, urand
@@ -178,6 +178,37 @@ def test_kernels_agree():
         assert {k(a, b) for k in kernels.KERNELS.values()} == {len(set(a) & set(b))}
 
 
+def test_shared_pairs_equal_a_plain_count(spark):
+    rng = np.random.default_rng(1)
+    rows = [(int(k), int(i) * 37 - 900) for k, i in {*zip(rng.integers(0, 40, 900), rng.integers(0, 60, 900), strict=True)}]
+    by, common = {}, {}
+    for k, i in rows:
+        by.setdefault(k, set()).add(i)
+    for items in by.values():
+        for p in itertools.combinations(sorted(items), 2):
+            common[p] = common.get(p, 0) + 1
+    df = spark.createDataFrame([*rows, *rows[:50], (None, 5), (1, None)], "k int, i bigint")
+    for least in (1, 6):
+        got = tiles.shared_pairs(df, "k", "i", least, 256)
+        assert "Join" not in got._jdf.queryExecution().executedPlan().toString()
+        assert sorted(map(tuple, got.collect())) == sorted(p for p, n in common.items() if n >= least)
+
+
+def test_cosine_pairs_equal_sums_in_order(spark):
+    rng = np.random.default_rng(2)
+    v = [[float(x) for x in r] for r in rng.integers(-3, 4, (70, 5))]
+    v += [[3.0, 4.0, 0.0, 0.0, 0.0], [1.0, 0.0, 0.0, 0.0, 0.0], v[0], None, [1.0, None, 0.0, 0.0, 0.0], [1.0, 0.0]]
+    want = []
+    for (i, a), (j, b) in itertools.combinations(enumerate(v), 2):
+        if a and b and len(a) == len(b) and None not in a and None not in b:
+            d, x, y = (sum((p * q for p, q in zip(s, t, strict=True)), 0.0) for s, t in ((a, b), (a, a), (b, b)))
+            r = x**0.5 * y**0.5
+            if r == 0 or d / r >= 0.6:
+                want.append((i, j))
+    got = tiles.cosine_pairs(spark.createDataFrame(list(enumerate(v)), "id bigint, e array<double>"), "id", "e", 0.6, 16)
+    assert sorted(map(tuple, got.collect())) == want and (70, 71) in want
+
+
 def test_asof_and_range_join(spark):
     left = spark.createDataFrame([(1, 10, "a"), (1, 3, "b"), (2, 5, "c")], "k int, t int, v string")
     right = spark.createDataFrame([(1, 4, 40), (1, 9, 90), (2, 6, 60)], "k int, t int, r int")

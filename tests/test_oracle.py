@@ -37,6 +37,13 @@ def test_drawn_graphs_come_from_events(spark, sf, name):
     test_query_equals_sql(spark, sf, name)
 
 
+@pytest.mark.parametrize("name", ["graph_edges_coact", "graph_edges_knn", "project_supply", "project_link", "theta_part_price"])
+def test_tiled_pairs_equal_sql(spark, sf, name):
+    test_query_equals_sql(spark, sf, name)
+    plan = entry.queries()[name](spark, sf)._jdf.queryExecution().optimizedPlan().toString()
+    assert "mapinarrow" in plan.lower() or "band" in plan
+
+
 def test_entry(spark):
     assert entry.entry(spark).count() == 20
 
