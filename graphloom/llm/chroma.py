@@ -100,30 +100,46 @@ def chroma(samples: np.ndarray) -> np.ndarray:
 _FILTERS = [(k % 4, (5 * k) % 12, 2 + k % 5, (2, 4, 6, 8)[(k // 4) % 4]) for k in range(16)]
 
 
+def _boxes() -> tuple[np.ndarray, ...]:
+    """Rectangles of the filters' two sides as 4 x 16, and the other two quarters of the diagonal ones."""
+    first, second, first_too, second_too = [], [], [], []
+    for kind, y, h, w in _FILTERS:
+        if kind == 0:  # earlier against later
+            a, b = (0, w // 2, y, y + h), (w // 2, w, y, y + h)
+        elif kind == 1:  # lower against higher
+            a, b = (0, w, y, y + h // 2), (0, w, y + h // 2, y + h)
+        elif kind == 2:  # diagonal quarters
+            a, b = (0, w // 2, y, y + h // 2), (0, w // 2, y + h // 2, y + h)
+            first_too.append((w // 2, w, y + h // 2, y + h))
+            second_too.append((w // 2, w, y, y + h // 2))
+        else:  # the band against the whole
+            a, b = (0, w, y, y + h), (0, w, 0, 12)
+        first.append(a)
+        second.append(b)
+    return tuple(np.array(x).T for x in (first, second, first_too, second_too))
+
+
+_FIRST, _SECOND, _FIRST_TOO, _SECOND_TOO = _boxes()
+_QUARTERS = [i for i, f in enumerate(_FILTERS) if f[0] == 2]
+_SHARE = np.array([h / 12 if kind == 3 else 1.0 for kind, _, h, _ in _FILTERS])
+
+
 def _responses(image: np.ndarray) -> np.ndarray:
     """Frames x 16 filter responses; the image is repeated upwards by an octave and onwards by its last frame."""
     n = len(image)
     wide = np.concatenate([np.concatenate([image, image], axis=1), np.repeat(np.concatenate([image[-1:], image[-1:]], axis=1), SPAN, axis=0)])
     total = np.zeros((wide.shape[0] + 1, 25))
     total[1:, 1:] = wide.cumsum(axis=0).cumsum(axis=1)
-    t = np.arange(n)
+    t = np.arange(n)[:, None]
 
-    def box(t0, t1, y0, y1):
-        return total[t + t1][:, y1] - total[t + t0][:, y1] - total[t + t1][:, y0] + total[t + t0][:, y0]
+    def box(sides):  # of all filters at once: frames from, to, pitch classes from, to
+        t0, t1, y0, y1 = sides
+        return total[t + t1, y1] - total[t + t0, y1] - total[t + t1, y0] + total[t + t0, y0]
 
-    out = np.empty((n, 16))
-    for i, (kind, y, h, w) in enumerate(_FILTERS):
-        if kind == 0:  # earlier against later
-            a, b = box(0, w // 2, y, y + h), box(w // 2, w, y, y + h)
-        elif kind == 1:  # lower against higher
-            a, b = box(0, w, y, y + h // 2), box(0, w, y + h // 2, y + h)
-        elif kind == 2:  # diagonal quarters
-            a = box(0, w // 2, y, y + h // 2) + box(w // 2, w, y + h // 2, y + h)
-            b = box(0, w // 2, y + h // 2, y + h) + box(w // 2, w, y, y + h // 2)
-        else:  # the band against the whole
-            a, b = box(0, w, y, y + h), box(0, w, 0, 12) * (h / 12)
-        out[:, i] = np.log1p(np.maximum(a, 0)) - np.log1p(np.maximum(b, 0))
-    return out
+    a, b = box(_FIRST), box(_SECOND)
+    a[:, _QUARTERS] += box(_FIRST_TOO)
+    b[:, _QUARTERS] += box(_SECOND_TOO)
+    return np.log1p(np.maximum(a, 0)) - np.log1p(np.maximum(b * _SHARE, 0))
 
 
 def fingerprint(samples: np.ndarray) -> np.ndarray:
