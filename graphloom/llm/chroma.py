@@ -15,6 +15,7 @@ import io
 import wave
 import zlib
 from collections.abc import Callable, Iterator
+from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
@@ -29,6 +30,7 @@ LOWEST, HIGHEST = 80.0, 1800.0
 SPAN = 8  # frames that a filter may cover
 MAX_BIT_ERROR, MIN_VOTES = 0.2, 4
 BLOCK = 2048  # fingerprints that are compared with as many others at once, at most
+WAVES = 640  # places up to which spectra are products with a matrix of waves
 
 
 def wav_samples(media: bytes | None) -> np.ndarray:
@@ -210,51 +212,115 @@ def _blocks(side: str, most: int) -> Callable[[Iterator[pa.RecordBatch]], Iterat
     return run
 
 
-def _groups(sizes: np.ndarray, most: int) -> Iterator[tuple[int, np.ndarray]]:
-    """(power of two from the longest up, rows): rows of like length, `most` of them or fewer where they are long."""
-    width = 1 << np.ceil(np.log2(np.maximum(sizes, 1))).astype(int)
-    for w in np.unique(width):
-        rows = np.flatnonzero(width == w)
-        step = max(1, min(most, (1 << 17) // int(w)))
-        for lo in range(0, len(rows), step):
-            yield int(w), rows[lo : lo + step]
+def _groups(sizes: np.ndarray, most: int) -> Iterator[np.ndarray]:
+    """Rows of like length from the shortest up, `most` of them or fewer where they are long."""
+    rows = np.argsort(sizes, kind="stable")
+    lo = 0
+    while lo < len(rows):
+        least = int(sizes[rows[lo]])
+        like = int(np.searchsorted(sizes[rows], least + least // 4 + 4, "right"))
+        hi = min(lo + max(1, min(most, (1 << 17) // max(least, 1))), like)
+        yield rows[lo:hi]
+        lo = hi
 
 
-def _spectra(prints: list[np.ndarray], n: int) -> np.ndarray:
-    """frequencies x rows x 32: spectra of each bit's signs, padded with zeros to n."""
-    x = np.zeros((len(prints), 32, n), np.float32)
-    for i, p in enumerate(prints):
-        x[i, :, : len(p)] = ((p[None, :] >> np.arange(32, dtype=np.uint32)[:, None]) & 1).astype(np.float32) * 2 - 1
-    return np.ascontiguousarray(np.fft.rfft(x, axis=2).astype(np.complex64).transpose(2, 0, 1))
+@lru_cache(maxsize=48)
+def _waves(n: int) -> tuple[np.ndarray, np.ndarray]:
+    """Cosines and sines of an odd number n of places: frequencies x places."""
+    angle = 2 * np.pi / n * (np.arange((n + 1) // 2)[:, None] * np.arange(n) % n)
+    return np.cos(angle).astype(np.float32), np.sin(angle).astype(np.float32)
 
 
-def near_offsets(queries: list[np.ndarray], matches: list[np.ndarray], max_bit_error: float) -> Iterator[tuple[int, int, int, int, float]]:
-    """(query, match, offset, overlap, bit_error): each pair that some offset aligns within the bound over half of the shorter one; the
-    offset of least error (ties: most overlap, nearest 0, least). Nothing is passed over: spectra only tell where counting is needed."""
+def _signs(prints: list[np.ndarray]) -> np.ndarray:
+    """frames x 32 x rows: each bit as 1 or -1, zeros after a row's end."""
+    x = np.zeros((max(len(p) for p in prints), 32, len(prints)), np.float32)
+    for i, p in enumerate(prints):
+        x[: len(p), :, i] = ((p[:, None] >> np.arange(32, dtype=np.uint32)) & 1).astype(np.float32) * 2 - 1
+    return x
+
+
+def _spectra(signs: np.ndarray, n: int) -> np.ndarray:
+    """frequencies x 64 x rows: real parts of the 32 bits' spectra at n places, then imaginary ones. Short ones are products with waves."""
+    frames, _, rows = signs.shape
+    flat = signs.reshape(frames, 32 * rows)
+    if n <= WAVES:
+        c, s = _waves(n)
+        out = np.stack([c[:, :frames] @ flat, -(s[:, :frames] @ flat)], axis=1)
+    else:
+        z = np.fft.rfft(flat, n, axis=0)
+        out = np.stack([z.real, z.imag], axis=1).astype(np.float32)
+    return out.reshape(-1, 64, rows)
+
+
+def _agreement(asked: np.ndarray, spectra: np.ndarray, n: int, offsets: np.ndarray) -> np.ndarray:
+    """offsets x queries x matches: agreeing less differing bits. asked: frequencies x 2 queries x 64, the rows of real parts first."""
+    found = asked @ spectra
+    f, q, m = len(found), found.shape[1] // 2, found.shape[2]
+    if n > WAVES:
+        found = found.reshape(f, 2, q, m)
+        return np.fft.irfft(found[:, 0] + 1j * found[:, 1], n, axis=0)[offsets % n]
+    c, s = _waves(n)
+    turn = np.stack([c[:, offsets % n], -s[:, offsets % n]], axis=1) * np.float32(2 / n)
+    turn[0] /= 2
+    return (turn.reshape(2 * f, -1).T @ found.reshape(2 * f, q * m)).reshape(-1, q, m)
+
+
+def _ranges(first: np.ndarray, size: np.ndarray) -> np.ndarray:
+    """Places first, first + 1, ... of each range, end to end."""
+    return np.arange(size.sum()) + np.repeat(first - np.r_[0, np.cumsum(size)[:-1]], size)
+
+
+def near_offsets(queries: list[np.ndarray], matches: list[np.ndarray], max_bit_error: float) -> Iterator[tuple[np.ndarray, ...]]:
+    """(query, match, offset, overlap, bit_error) as arrays: each pair that some offset aligns within the bound over half of the shorter one; the
+    offset of least error (ties: most overlap, nearest 0, least). Nothing is passed over: spectra only tell where counting is needed.
+
+    Groups of like length are compared at as many places as offsets of enough overlap need: sums that run round the end meet no such offset.
+    """
     qs, ms = np.array([len(p) for p in queries]), np.array([len(p) for p in matches])
-    for qw, qi in _groups(qs, 32):
-        kept: dict[int, np.ndarray] = {}
-        for mw, mi in _groups(ms, 256):
-            n = 2 * max(qw, mw)
-            if n not in kept:
-                kept = {n: np.conj(_spectra([queries[i] for i in qi], n))}
-            found = kept[n] @ _spectra([matches[i] for i in mi], n).transpose(0, 2, 1)
-            same = np.fft.irfft(found.transpose(1, 2, 0), n, axis=2)  # agreeing less differing bits, by offset modulo n
-            at = np.arange(n)
-            at[at >= n // 2] -= n
-            m, k = qs[qi][:, None, None], ms[mi][None, :, None]
-            overlap = np.minimum(m, k - at) - np.maximum(0, -at)
-            slack = 1 + 1e-4 * 32 * np.sqrt(float(qw) * mw)
-            near = (2 * overlap >= np.minimum(m, k)) & (same >= 32 * overlap * (1 - 2 * max_bit_error) - slack)
-            best: dict[tuple[int, int], tuple[float, int, int, int]] = {}
-            for a, c, o in zip(*(x.tolist() for x in np.nonzero(near)), strict=True):
-                q, r, o = int(qi[a]), int(mi[c]), int(at[o])
-                lo, hi = max(0, -o), min(len(queries[q]), len(matches[r]) - o)
-                error = int(np.bitwise_count(queries[q][lo:hi] ^ matches[r][lo + o : hi + o]).sum()) / (32 * (hi - lo))
-                if error <= max_bit_error:
-                    best[q, r] = min(best.get((q, r), (2.0, 0, 0, 0)), (error, lo - hi, abs(o), o))
-            for (q, r), (error, less, _, o) in best.items():
-                yield q, r, o, -less, error
+    q_at, m_at = np.cumsum(qs) - qs, np.cumsum(ms) - ms
+    q_flat, m_flat = np.concatenate(queries), np.concatenate(matches)
+    share = 32 * (1 - 2 * max_bit_error)
+    others = [(mi, _signs([matches[i] for i in mi])) for mi in _groups(ms, 128)]
+    for qi in _groups(qs, 64):
+        signs, kept, asked = _signs([queries[i] for i in qi]), 0, None
+        least_q, most_q = int(qs[qi].min()), int(qs[qi].max())
+        for mi, other in others:
+            least_m, most_m = int(ms[mi].min()), int(ms[mi].max())
+            half = (min(least_q, least_m) + 1) // 2
+            n = (most_q + most_m - half) // 16 * 16 + 17
+            n = n if n <= WAVES else 1 << (n - 1).bit_length()
+            if n != kept:
+                x = _spectra(signs, n).transpose(0, 2, 1)
+                kept, asked = n, np.concatenate([x, np.concatenate([-x[:, :, 32:], x[:, :, :32]], axis=2)], axis=1)
+            offsets = np.arange(half - most_q, most_m - half + 1)
+            same = _agreement(asked, _spectra(other, n), n, offsets)
+            slack = 1 + 1e-4 * 32 * np.sqrt(float(most_q) * most_m)
+            overlap = np.maximum(half, np.minimum(least_q, least_m - offsets) - np.maximum(0, -offsets))  # at least, of any pair here
+            at = np.flatnonzero(same.reshape(len(offsets), -1) >= (share * overlap - slack).astype(np.float32)[:, None])
+            if not len(at):
+                continue
+            o, a, c = np.unravel_index(at, same.shape)
+            q, r, o, same = qi[a], mi[c], offsets[o], same.ravel()[at]
+            lo = np.maximum(0, -o)
+            overlap = np.minimum(qs[q], ms[r] - o) - lo
+            near = np.flatnonzero((2 * overlap >= np.minimum(qs[q], ms[r])) & (same >= share * overlap - slack))
+            if not len(near):
+                continue
+            q, r, o, lo, overlap = (x[near] for x in (q, r, o, lo, overlap))
+            error = np.empty(len(near))
+            ends = np.cumsum(overlap)
+            first = 0
+            while first < len(near):  # about a million frames at a time
+                last = max(first + 1, int(np.searchsorted(ends, (ends[first - 1] if first else 0) + (1 << 20), "right")))
+                k, size = slice(first, last), overlap[first:last]
+                wrong = np.bitwise_count(q_flat[_ranges(q_at[q[k]] + lo[k], size)] ^ m_flat[_ranges(m_at[r[k]] + lo[k] + o[k], size)])
+                error[k] = np.add.reduceat(wrong, np.cumsum(size) - size, dtype=np.int64) / (32 * size)
+                first = last
+            k = np.flatnonzero(error <= max_bit_error)
+            k = k[np.lexsort((o[k], np.abs(o[k]), -overlap[k], error[k], r[k], q[k]))]
+            k = k[np.r_[True, (q[k][1:] != q[k][:-1]) | (r[k][1:] != r[k][:-1])]] if len(k) else k
+            if len(k):
+                yield q[k], r[k], o[k], overlap[k], error[k]
 
 
 def _compare(max_bit_error: float) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
@@ -266,9 +332,8 @@ def _compare(max_bit_error: float) -> Callable[[Iterator[pa.RecordBatch]], Itera
             for i in range(b.num_rows):
                 row = [b.column(j)[i].as_py() for j in range(6)]
                 (qids, queries), (mids, matches) = cut(*row[:3]), cut(*row[3:])
-                if out := list(near_offsets(queries, matches, max_bit_error)):
-                    q, m, o, n, e = zip(*out, strict=True)
-                    yield arrow_rows(CHECKED, {"query_class": qids[list(q)], "match_class": mids[list(m)], "offset": np.array(o, np.int32), "overlap": np.array(n, np.int32), "bit_error": list(e)})
+                for q, m, o, n, e in near_offsets(queries, matches, max_bit_error):
+                    yield arrow_rows(CHECKED, {"query_class": qids[q], "match_class": mids[m], "offset": o.astype(np.int32), "overlap": n.astype(np.int32), "bit_error": e})
 
     return run
 
@@ -279,9 +344,9 @@ CHECKED = "query_class bigint, match_class bigint, offset int, overlap int, bit_
 def _every_pair(scratch: Scratch, classes: DataFrame, max_bit_error: float) -> DataFrame:
     """CHECKED rows of all pairs of a query's class and any class, block by block; a block pair is one task's own small problem."""
     parts = int(classes.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    block = lambda rows, side, most: rows.select("cls", "print").mapInArrow(lean(_blocks(side, most)), f"{side}_ids binary, {side}_sizes binary, {side}_prints binary")
+    block = lambda rows, side, most: rows.sortWithinPartitions("frames", "cls").select("cls", "print").mapInArrow(lean(_blocks(side, most)), f"{side}_ids binary, {side}_sizes binary, {side}_prints binary")
     asked = scratch.save(block(classes.where("n_queries > 0").coalesce(1), "query", BLOCK // 4), "query_blocks")
-    others = scratch.save(block(classes.repartition(parts, "cls"), "match", BLOCK), "match_blocks").repartition(parts)
+    others = scratch.save(block(classes.repartition(parts, "cls"), "match", BLOCK), "match_blocks").repartition(4 * parts)
     return scratch.save(asked.crossJoin(others).select(*[f"{s}_{c}" for s in ("query", "match") for c in ("ids", "sizes", "prints")]).mapInArrow(lean(_compare(max_bit_error)), CHECKED), "every_pair")
 
 
