@@ -28,6 +28,7 @@ from graphloom.plans.scratch import Scratch
 
 WIDTH = 128
 SMALL, DEPTH, BLOCK = 1024, 6, 1024
+PIVOT_BYTES = 8 << 20  # of signatures of large nodes' pivots that go to all tasks
 LINK = "u bigint, v bigint"
 SIGNED = "doc_id bigint, n bigint, k1 bigint, k2 bigint, sig binary"
 
@@ -126,9 +127,12 @@ def coarse_links(classes: DataFrame, threshold: float, trees: int, scratch: Scra
         if level == DEPTH:
             leaves.append(large.select("node", "rid", "size"))
             break
-        if large.isEmpty():
+        n_large = large.agg(F.sum(1 / F.col("size"))).first()[0]
+        if not n_large:
             break
-        pivots = large.select("node", "pivot").distinct().join(members.withColumnRenamed("rid", "pivot").withColumnRenamed("sig", "pivot_sig"), "pivot").select("node", "pivot_sig")
+        pivots = large.where("rid = pivot").select("node", "rid").join(members, "rid").select("node", F.col("sig").alias("pivot_sig"))
+        if n_large * WIDTH * 4 <= PIVOT_BYTES:  # else a crowded node's signatures would be dealt by it
+            pivots = F.broadcast(pivots)
 
         def branch(batches: Iterator[pa.RecordBatch], level=level) -> Iterator[pa.RecordBatch]:
             for b in batches:
@@ -143,7 +147,8 @@ def coarse_links(classes: DataFrame, threshold: float, trees: int, scratch: Scra
                 n = below.num_rows
                 yield arrow_rows("kind int, a bigint, b bigint", {"kind": np.r_[np.zeros(n, np.int32), np.ones(len(near), np.int32)], "a": np.r_[ints(below.column(0)), rid[near]], "b": np.r_[ints(below.column(1)), pivot[near]]})
 
-        deep = large.join(members, "rid").join(pivots, "node").select("node", "rid", "pivot", "sig", "pivot_sig")
+        nodes_of = large.groupBy("rid").agg(F.collect_list(F.struct("node", "pivot")).alias("nodes"))  # some for each tree: a signature goes once to all of them
+        deep = nodes_of.join(members, "rid").select("rid", "sig", F.inline("nodes")).join(pivots, "node").select("node", "rid", "pivot", "sig", "pivot_sig")
         out = scratch.save(deep.mapInArrow(lean(branch), "kind int, a bigint, b bigint"), "branched")
         links.append(out.where("kind = 1").select(F.col("a").alias("u"), F.col("b").alias("v")))
         rows = out.where("kind = 0").select(F.col("a").alias("node"), F.col("b").alias("rid"))
