@@ -23,6 +23,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from graphloom.llm.common import arrow_rows, ints, lean
+from graphloom.operators.components import components_of_links, star_edges
 from graphloom.plans.scratch import Scratch
 
 FRAME, HOP, RATE = 1024, 256, 4000
@@ -170,43 +171,63 @@ def fingerprint_column(recordings: DataFrame, id_col: str, media_col: str, decod
     return recordings.select(recordings[id_col].cast("bigint"), recordings[media_col]).mapInArrow(lean(run), PRINTED)
 
 
-def _explode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for b in batches:
-        prints = [np.frombuffer(p, np.uint32) for p in b.column(1).to_pylist()]
-        sizes = [len(p) for p in prints]
-        if not sum(sizes):
-            continue
-        flat = np.concatenate(prints)
-        at = np.concatenate([np.arange(n) for n in sizes])
-        fresh = np.r_[True, flat[1:] != flat[:-1]] | (at == 0)  # a held sound votes once
-        yield arrow_rows("cls bigint, word bigint, at int", {"cls": np.repeat(ints(b.column(0)), sizes)[fresh], "word": flat[fresh].astype(np.int64), "at": at[fresh].astype(np.int32)})
+def _heard(prints: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Integer, recording and frame of the sounds of some recordings, by recording. A held sound begins once, and votes once."""
+    sizes = np.array([len(p) for p in prints])
+    flat, row, at = np.concatenate(prints), np.repeat(np.arange(len(prints)), sizes), _ranges(np.zeros(len(sizes), np.int64), sizes)
+    fresh = np.r_[True, flat[1:] != flat[:-1]] | (at == 0)
+    return flat[fresh], row[fresh], at[fresh]
 
 
-def _bit_errors(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for b in batches:
-        out = []
-        for p, q, offset in zip(b.column(3).to_pylist(), b.column(4).to_pylist(), b.column(2).to_pylist(), strict=True):
-            x, y = np.frombuffer(p, np.uint32), np.frombuffer(q, np.uint32)
-            lo, hi = max(0, -offset), min(len(x), len(y) - offset)
-            n = hi - lo
-            wrong = int(np.bitwise_count(x[lo:hi] ^ y[lo + offset : hi + offset]).sum()) if n > 0 else 0
-            out.append((n, wrong / (32 * n) if n > 0 else 1.0))
-        yield arrow_rows("query_class bigint, match_class bigint, offset int, overlap int, bit_error double", {"query_class": b.column(0), "match_class": b.column(1), "offset": b.column(2), "overlap": np.array([n for n, _ in out], np.int32), "bit_error": [e for _, e in out]})
+def voted_offsets(queries: list[np.ndarray], matches: list[np.ndarray], min_votes: int) -> Iterator[tuple[np.ndarray, ...]]:
+    """(query, match, offset) as arrays: each pair's offset of the most equal integers (ties: nearest 0), if min_votes of them agree, or all in shorter recordings."""
+    qs, ms = np.array([len(p) for p in queries]), np.array([len(p) for p in matches])
+    most, width = int(qs.max()), int(qs.max() + ms.max())
+    asked, query, start = _heard(queries)
+    word, row, at = _heard(matches)
+    order = np.argsort(word, kind="stable")
+    word, row, at = word[order], row[order], at[order]
+    lo = np.searchsorted(word, asked, "left")
+    size = np.searchsorted(word, asked, "right") - lo
+    query, start, lo, size = (x[size > 0] for x in (query, start, lo, size))
+    ends = np.cumsum(size)
+    keys, votes = np.zeros(0, np.int64), np.zeros(0, np.int64)
+    first = 0
+    while first < len(query):  # about a million votes at a time
+        last = max(first + 1, int(np.searchsorted(ends, (ends[first - 1] if first else 0) + (1 << 20), "right")))
+        k, hit = slice(first, last), _ranges(lo[first:last], size[first:last])
+        offset = at[hit] - np.repeat(start[k], size[k])
+        cell, n = np.unique((np.repeat(query[k], size[k]) * len(matches) + row[hit]) * width + offset + most, return_counts=True)
+        keys, place = np.unique(np.concatenate([keys, cell]), return_inverse=True)
+        votes = np.bincount(place, np.concatenate([votes, n]), len(keys)).astype(np.int64)
+        done = int(np.searchsorted(keys, query[last] * len(matches) * width)) if last < len(query) else len(keys)
+        pair, offset, n = keys[:done] // width, keys[:done] % width - most, votes[:done]
+        keys, votes, first = keys[done:], votes[done:], last
+        best = np.lexsort((-offset, np.abs(offset), -n, pair))
+        best = best[np.r_[True, pair[best][1:] != pair[best][:-1]]] if done else best
+        q, m = pair[best] // len(matches), pair[best] % len(matches)
+        enough = n[best] >= np.minimum(min_votes, np.minimum(qs[q], ms[m]))
+        if enough.any():
+            yield q[enough], m[enough], offset[best][enough]
+
+
+def _block_of(side: str) -> str:
+    return ", ".join(f"{side}_{c} binary" for c in ("ids", "rows", "sizes", "prints"))
 
 
 def _blocks(side: str, most: int) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
-    """(cls, print) -> one row for up to `most` fingerprints or about 1 MB of them."""
+    """(cls, print, rows) -> one row for up to `most` fingerprints or about 1 MB of them."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            cls, prints = ints(b.column(0)).astype(np.int64), b.column(1).to_pylist()
+            cls, prints, rows = ints(b.column(0)).astype(np.int64), b.column(1).to_pylist(), ints(b.column(2)).astype(np.int64)
             ends = np.cumsum([len(p) for p in prints])
             lo = 0
             while lo < len(prints):
                 full = int(np.searchsorted(ends, (ends[lo - 1] if lo else 0) + (1 << 20), "right"))
                 hi = max(lo + 1, min(lo + most, full))
                 sizes = np.array([len(p) // 4 for p in prints[lo:hi]], np.int32)
-                yield arrow_rows(f"{side}_ids binary, {side}_sizes binary, {side}_prints binary", {f"{side}_ids": [cls[lo:hi].tobytes()], f"{side}_sizes": [sizes.tobytes()], f"{side}_prints": [b"".join(prints[lo:hi])]})
+                yield arrow_rows(_block_of(side), {f"{side}_ids": [cls[lo:hi].tobytes()], f"{side}_rows": [rows[lo:hi].tobytes()], f"{side}_sizes": [sizes.tobytes()], f"{side}_prints": [b"".join(prints[lo:hi])]})
                 lo = hi
 
     return run
@@ -270,6 +291,20 @@ def _ranges(first: np.ndarray, size: np.ndarray) -> np.ndarray:
     return np.arange(size.sum()) + np.repeat(first - np.r_[0, np.cumsum(size)[:-1]], size)
 
 
+def _bit_errors(left: np.ndarray, left_at: np.ndarray, right: np.ndarray, right_at: np.ndarray, overlap: np.ndarray) -> np.ndarray:
+    """Share of differing bits of runs of so many frames."""
+    error = np.empty(len(overlap))
+    ends = np.cumsum(overlap)
+    first = 0
+    while first < len(overlap):  # about a million frames at a time
+        last = max(first + 1, int(np.searchsorted(ends, (ends[first - 1] if first else 0) + (1 << 20), "right")))
+        size = overlap[first:last]
+        wrong = np.bitwise_count(left[_ranges(left_at[first:last], size)] ^ right[_ranges(right_at[first:last], size)])
+        error[first:last] = np.add.reduceat(wrong, np.cumsum(size) - size, dtype=np.int64) / (32 * size)
+        first = last
+    return error
+
+
 def near_offsets(queries: list[np.ndarray], matches: list[np.ndarray], max_bit_error: float) -> Iterator[tuple[np.ndarray, ...]]:
     """(query, match, offset, overlap, bit_error) as arrays: each pair that some offset aligns within the bound over half of the shorter one; the
     offset of least error (ties: most overlap, nearest 0, least). Nothing is passed over: spectra only tell where counting is needed.
@@ -307,15 +342,7 @@ def near_offsets(queries: list[np.ndarray], matches: list[np.ndarray], max_bit_e
             if not len(near):
                 continue
             q, r, o, lo, overlap = (x[near] for x in (q, r, o, lo, overlap))
-            error = np.empty(len(near))
-            ends = np.cumsum(overlap)
-            first = 0
-            while first < len(near):  # about a million frames at a time
-                last = max(first + 1, int(np.searchsorted(ends, (ends[first - 1] if first else 0) + (1 << 20), "right")))
-                k, size = slice(first, last), overlap[first:last]
-                wrong = np.bitwise_count(q_flat[_ranges(q_at[q[k]] + lo[k], size)] ^ m_flat[_ranges(m_at[r[k]] + lo[k] + o[k], size)])
-                error[k] = np.add.reduceat(wrong, np.cumsum(size) - size, dtype=np.int64) / (32 * size)
-                first = last
+            error = _bit_errors(q_flat, q_at[q] + lo, m_flat, m_at[r] + lo + o, overlap)
             k = np.flatnonzero(error <= max_bit_error)
             k = k[np.lexsort((o[k], np.abs(o[k]), -overlap[k], error[k], r[k], q[k]))]
             k = k[np.r_[True, (q[k][1:] != q[k][:-1]) | (r[k][1:] != r[k][:-1])]] if len(k) else k
@@ -323,31 +350,111 @@ def near_offsets(queries: list[np.ndarray], matches: list[np.ndarray], max_bit_e
                 yield q[k], r[k], o[k], overlap[k], error[k]
 
 
-def _compare(max_bit_error: float) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
-    def cut(ids: bytes, sizes: bytes, prints: bytes) -> tuple[np.ndarray, list[np.ndarray]]:
-        return np.frombuffer(ids, np.int64), np.split(np.frombuffer(prints, np.uint32), np.cumsum(np.frombuffer(sizes, np.int32))[:-1])
+def aligned_offsets(queries: list[np.ndarray], matches: list[np.ndarray], max_bit_error: float, min_votes: int) -> Iterator[tuple[np.ndarray, ...]]:
+    """(query, match, offset, overlap, bit_error) as arrays: pairs that votes settle within the bounds, then the others that some offset aligns."""
+    qs, ms = np.array([len(p) for p in queries]), np.array([len(p) for p in matches])
+    q_at, m_at, q_flat, m_flat = np.cumsum(qs) - qs, np.cumsum(ms) - ms, np.concatenate(queries), np.concatenate(matches)
+    settled = np.zeros((len(queries), len(matches)), bool)
+    for q, m, o in voted_offsets(queries, matches, min_votes):
+        lo = np.maximum(0, -o)
+        overlap = np.minimum(qs[q], ms[m] - o) - lo
+        half = 2 * overlap >= np.minimum(qs[q], ms[m])
+        q, m, o, lo, overlap = (x[half] for x in (q, m, o, lo, overlap))
+        error = _bit_errors(q_flat, q_at[q] + lo, m_flat, m_at[m] + lo + o, overlap)
+        near = error <= max_bit_error
+        settled[q[near], m[near]] = True
+        if near.any():
+            yield q[near], m[near], o[near], overlap[near], error[near]
+    for part in near_offsets(queries, matches, max_bit_error):
+        missed = ~settled[part[0], part[1]]
+        if missed.any():
+            yield tuple(x[missed] for x in part)
+
+
+def _pairs_of(batches: Iterator[pa.RecordBatch], max_bit_error: float, min_votes: int) -> Iterator[dict[str, np.ndarray]]:
+    """Aligned pairs of the classes of each row's two blocks, some at a time."""
+
+    def cut(ids: bytes, rows: bytes, sizes: bytes, prints: bytes) -> tuple[np.ndarray, np.ndarray, list[np.ndarray]]:
+        return np.frombuffer(ids, np.int64), np.frombuffer(rows, np.int64), np.split(np.frombuffer(prints, np.uint32), np.cumsum(np.frombuffer(sizes, np.int32))[:-1])
+
+    for b in batches:
+        for i in range(b.num_rows):
+            row = [b.column(j)[i].as_py() for j in range(8)]
+            (qids, n_queries, queries), (mids, n_copies, matches) = cut(*row[:4]), cut(*row[4:])
+            for q, m, o, n, e in aligned_offsets(queries, matches, max_bit_error, min_votes):
+                yield {"query_class": qids[q], "match_class": mids[m], "offset": o.astype(np.int32), "overlap": n.astype(np.int32), "bit_error": e, "n_queries": n_queries[q], "n_copies": n_copies[m]}
+
+
+PAIRS = "query_class bigint, match_class bigint, offset int, overlap int, bit_error double, n_queries bigint, n_copies bigint"
+AS_MATCH, AS_QUERY, STAR = 0, 1, 2
+LINKS = "kind int, cls bigint, other bigint, offset int, overlap int, bit_error double, n_links bigint"
+HELD = 500_000  # rows that a task sums at once
+
+
+def _summed(parts: list[dict[str, np.ndarray]]) -> dict[str, np.ndarray]:
+    """One row for each kind and class: its links, and its alignment of least error (ties: most overlap, least other class, least offset)."""
+    x = {c: np.concatenate([p[c] for p in parts]) for c in parts[0]}
+    order = np.lexsort((x["offset"], x["other"], -x["overlap"], x["bit_error"], x["cls"], x["kind"]))
+    x = {c: v[order] for c, v in x.items()}
+    first = np.flatnonzero(np.r_[True, (x["cls"][1:] != x["cls"][:-1]) | (x["kind"][1:] != x["kind"][:-1])])
+    return {c: v[first] for c, v in x.items()} | {"n_links": np.add.reduceat(x["n_links"], first)}
+
+
+def _link(max_bit_error: float, min_votes: int) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
+    """LINKS rows of a task's pairs, of which none leaves it: sums of each class, as a match and as a query, and stars of the classes they join."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            for i in range(b.num_rows):
-                row = [b.column(j)[i].as_py() for j in range(6)]
-                (qids, queries), (mids, matches) = cut(*row[:3]), cut(*row[3:])
-                for q, m, o, n, e in near_offsets(queries, matches, max_bit_error):
-                    yield arrow_rows(CHECKED, {"query_class": qids[q], "match_class": mids[m], "offset": o.astype(np.int32), "overlap": n.astype(np.int32), "bit_error": e})
+        held: list[dict[str, np.ndarray]] = []
+        stars, n = np.zeros((2, 0), np.int64), 0
+
+        def out(x: dict[str, np.ndarray]) -> Iterator[pa.RecordBatch]:
+            for lo in range(0, len(x["cls"]), 50_000):
+                yield arrow_rows(LINKS, {c: v[lo : lo + 50_000] for c, v in x.items()})
+
+        def joined() -> dict[str, np.ndarray]:
+            zero = np.zeros(stars.shape[1], np.int32)
+            return {"kind": zero + np.int32(STAR), "cls": stars[0], "other": stars[1], "offset": zero, "overlap": zero, "bit_error": zero.astype(float), "n_links": zero.astype(np.int64)}
+
+        for p in _pairs_of(batches, max_bit_error, min_votes):
+            p = {c: v[p["query_class"] != p["match_class"]] for c, v in p.items()}
+            size = len(p["offset"])
+            if not size:
+                continue
+            both = {"overlap": p["overlap"], "bit_error": p["bit_error"]}
+            held.append({"kind": np.full(size, AS_MATCH, np.int32), "cls": p["match_class"], "other": p["query_class"], "offset": -p["offset"], "n_links": p["n_queries"], **both})
+            held.append({"kind": np.full(size, AS_QUERY, np.int32), "cls": p["query_class"], "other": p["match_class"], "offset": p["offset"], "n_links": p["n_copies"], **both})
+            stars = np.concatenate([stars, np.stack([p["match_class"], p["query_class"]])], axis=1)
+            n += 2 * size
+            if n > HELD:
+                held = [_summed(held)]
+                stars = np.array(star_edges(*stars), np.int64).reshape(2, -1)
+                n = len(held[0]["cls"])
+                if n > HELD // 2:
+                    yield from out(held[0])
+                    yield from out(joined())
+                    held, stars, n = [], stars[:, :0], 0
+        if held:
+            stars = np.array(star_edges(*stars), np.int64).reshape(2, -1)
+            yield from out(_summed(held))
+            yield from out(joined())
 
     return run
 
 
-CHECKED = "query_class bigint, match_class bigint, offset int, overlap int, bit_error double"
+def _classes(scratch: Scratch, printed: DataFrame, is_query) -> tuple[DataFrame, DataFrame]:
+    """The rows of printed with `query`, and the classes of those with frames: digest, frames, print, cls, n_copies, n_queries."""
+    saved = scratch.save(printed.withColumn("query", F.coalesce(is_query, F.lit(False))), "printed")
+    classes = saved.where("frames > 0 and rec_id is not null").groupBy("digest", "frames", "print").agg(F.min("rec_id").alias("cls"), F.count("*").alias("n_copies"), F.sum(F.col("query").cast("bigint")).alias("n_queries"))
+    return saved, scratch.save(classes, "classes")
 
 
-def _every_pair(scratch: Scratch, classes: DataFrame, max_bit_error: float) -> DataFrame:
-    """CHECKED rows of all pairs of a query's class and any class, block by block; a block pair is one task's own small problem."""
+def _block_pairs(scratch: Scratch, classes: DataFrame) -> DataFrame:
+    """Blocks of the queries' classes beside blocks of all classes; a block pair is one task's own small problem."""
     parts = int(classes.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    block = lambda rows, side, most: rows.sortWithinPartitions("frames", "cls").select("cls", "print").mapInArrow(lean(_blocks(side, most)), f"{side}_ids binary, {side}_sizes binary, {side}_prints binary")
-    asked = scratch.save(block(classes.where("n_queries > 0").coalesce(1), "query", BLOCK // 4), "query_blocks")
-    others = scratch.save(block(classes.repartition(parts, "cls"), "match", BLOCK), "match_blocks").repartition(4 * parts)
-    return scratch.save(asked.crossJoin(others).select(*[f"{s}_{c}" for s in ("query", "match") for c in ("ids", "sizes", "prints")]).mapInArrow(lean(_compare(max_bit_error)), CHECKED), "every_pair")
+    block = lambda rows, side, most, n: rows.sortWithinPartitions("frames", "cls").select("cls", "print", n).mapInArrow(lean(_blocks(side, most)), _block_of(side))
+    asked = scratch.save(block(classes.where("n_queries > 0").coalesce(1), "query", BLOCK // 4, "n_queries"), "query_blocks")
+    others = scratch.save(block(classes.repartition(parts, "cls"), "match", BLOCK, "n_copies"), "match_blocks").repartition(4 * parts)
+    return others.crossJoin(asked).select(*asked.columns, *others.columns)
 
 
 def align_recordings(printed: DataFrame, is_query, max_bit_error: float = MAX_BIT_ERROR, min_votes: int = MIN_VOTES) -> DataFrame:
@@ -358,27 +465,45 @@ def align_recordings(printed: DataFrame, is_query, max_bit_error: float = MAX_BI
     integers (ties: the least), settled where at least min_votes of them (or all, in shorter recordings)
     agree, the overlap covers half of the shorter recording, and the bit error is at most
     max_bit_error. Any other pair that meets these two bounds at some offset is there with the offset of
-    least bit error. Rows without frames are in no class.
+    least bit error. Rows without frames are in no class. The pairs grow with queries times recordings;
+    link_recordings() sums them.
+    """
+    scratch = Scratch(printed.sparkSession, "chroma")
+    _, classes = _classes(scratch, printed, is_query)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for p in _pairs_of(batches, max_bit_error, min_votes):
+            yield arrow_rows(PAIRS, p)
+
+    return scratch.save(_block_pairs(scratch, classes).mapInArrow(lean(run), PAIRS), "pairs")
+
+
+def link_recordings(printed: DataFrame, is_query, max_bit_error: float = MAX_BIT_ERROR, min_votes: int = MIN_VOTES) -> DataFrame:
+    """One row for each row of printed: rec_id, class_id, query, n_links, component_id, match_class, offset, overlap, bit_error.
+
+    The pairs are those of align_recordings(), every one of them, but they are summed where they are found.
+    class_id is the least id of the rows with the same fingerprint. n_links counts the other rows that a query
+    row aligns with, its copies too, or the query rows that any other row aligns with. component_id is the
+    least id of the classes joined by alignments. The last four are of the class of another fingerprint that aligns with
+    the least bit error (ties: most overlap, least class): frame i lies at its frame i + offset. Rows without frames have
+    no class, no links and their own id as component.
     """
     scratch = Scratch(printed.sparkSession, "chroma")
-    saved = scratch.save(printed.where("frames > 0").withColumn("query", is_query), "printed")
-    classes = scratch.save(saved.groupBy("digest", "frames", "print").agg(F.min("rec_id").alias("cls"), F.count("*").alias("n_copies"), F.sum(F.col("query").cast("bigint")).alias("n_queries")), "classes")
-    words = classes.select("cls", "print").mapInArrow(lean(_explode), "cls bigint, word bigint, at int")
-    asked = classes.where("n_queries > 0").select("cls", "print").mapInArrow(lean(_explode), "cls bigint, word bigint, at int").toDF("query_class", "word", "query_at")
-    votes = asked.join(words, "word").groupBy("query_class", F.col("cls").alias("match_class"), (F.col("at") - F.col("query_at")).alias("offset")).agg(F.count("*").alias("votes"))
-    best = votes.groupBy("query_class", "match_class").agg(F.max(F.struct("votes", (-F.abs("offset")).alias("near"), "offset")).alias("b")).select("query_class", "match_class", "b.offset", "b.votes")
-    side = lambda p: classes.select(F.col("cls").alias(f"{p}_class"), F.col("frames").alias(f"{p}_frames"), F.col("print").alias(f"{p}_print"))
-    least = F.least(F.lit(min_votes), F.col("query_frames"), F.col("match_frames"))
-    pairs = best.join(side("query"), "query_class").join(side("match"), "match_class").where((F.col("votes") >= least) | (F.col("query_class") == F.col("match_class")))
-    checked = pairs.select("query_class", "match_class", "offset", "query_print", "match_print").mapInArrow(lean(_bit_errors), CHECKED)
-    sizes = classes.select(F.col("cls").alias("match_class"), "n_copies", F.col("frames").alias("mf")), classes.select(F.col("cls").alias("query_class"), "n_queries", F.col("frames").alias("qf"))
-    by_votes = (
-        checked.where(F.col("bit_error") <= max_bit_error)
-        .join(sizes[0], "match_class")
-        .join(sizes[1], "query_class")
-        .where(2 * F.col("overlap") >= F.least("mf", "qf"))
-        .select("query_class", "match_class", "offset", "overlap", "bit_error", "n_queries", "n_copies")
+    saved, classes = _classes(scratch, printed, is_query)
+    linked = scratch.save(_block_pairs(scratch, classes).mapInArrow(lean(_link(max_bit_error, min_votes)), LINKS), "linked")
+    best = F.min(F.struct("bit_error", (-F.col("overlap")).alias("wide"), "other", "offset", "overlap"))
+    sums = lambda kind, to: linked.where(F.col("kind") == kind).groupBy("cls").agg(F.sum("n_links").alias(f"{to}_links"), best.alias(to))
+    joined = components_of_links(linked.where(F.col("kind") == STAR).select("cls", "other")).withColumnsRenamed({"id": "cls"})
+    known = classes.join(sums(AS_MATCH, "asked"), "cls", "left").join(sums(AS_QUERY, "all"), "cls", "left").join(joined, "cls", "left")
+    rows = saved.join(known, ["digest", "frames", "print"], "left")
+    found = lambda c: F.when(F.col("query"), F.col(f"all.{c}")).otherwise(F.col(f"asked.{c}"))
+    n_links = F.when(F.col("query"), F.coalesce("all_links", F.lit(0)) + F.col("n_copies") - 1).otherwise(F.coalesce("asked_links", F.lit(0)) + F.col("n_queries"))
+    return rows.select(
+        "rec_id",
+        F.col("cls").alias("class_id"),
+        "query",
+        F.coalesce(n_links, F.lit(0)).cast("bigint").alias("n_links"),
+        F.coalesce("component", "cls", "rec_id").alias("component_id"),
+        found("other").alias("match_class"),
+        *[found(c).alias(c) for c in ("offset", "overlap", "bit_error")],
     )
-    settled = scratch.save(by_votes, "settled")
-    missed = _every_pair(scratch, classes, max_bit_error).join(settled.select("query_class", "match_class"), ["query_class", "match_class"], "left_anti")
-    return settled.unionByName(missed.join(sizes[0], "match_class").join(sizes[1], "query_class").select(*settled.columns))
