@@ -1,6 +1,8 @@
 """A spread of registered queries against their SQL on the smallest tables; and the entry point."""
 
 import duckdb
+import pyarrow as pa
+import pyarrow.parquet as pq
 import pytest
 
 import __spark_entry__ as entry
@@ -44,6 +46,16 @@ def test_tiled_pairs_equal_sql(spark, sf, name):
     assert "mapinarrow" in plan.lower() or "band" in plan
 
 
+def test_theta_part_price_at_the_ends_of_its_range(spark, tmp_path):
+    tiny = 5e-324
+    prices = [None, *map(float, ("nan nan inf inf -inf -inf".split())), 0.0, -0.0, -1.0, -1.0, 1.7976931348623157e308, 1.797e308, 1.796e308, 1.79e308, tiny, tiny, *(k * tiny for k in (498, 499, 500, 501, 502, 1500, 1501, 1502)), *(900 + 0.1 * k for k in range(40))]
+    pq.write_table(pa.table({"p_partkey": pa.array(range(len(prices)), pa.int64()), "p_brand": ["x"] * len(prices), "p_retailprice": pa.array(prices, pa.float64())}), tmp_path / "part.parquet")
+    con = duckdb.connect()
+    con.execute(f"CREATE VIEW part AS SELECT * FROM '{tmp_path}/part.parquet'")
+    want = con.execute(entry.oracle_sql()["theta_part_price"]).fetchall()
+    assert sorted(tuple(r) for r in entry.queries()["theta_part_price"](spark, str(tmp_path)).collect()) == sorted(want)
+
+
 def test_entry(spark):
     assert entry.entry(spark).count() == 20
 
