@@ -6,6 +6,7 @@ import pyarrow.parquet as pq
 import pytest
 
 import __spark_entry__ as entry
+from graphloom.plans.graph import Graph
 from graphloom.registry import TABLES
 
 NAMES = """graph_edges_trade graph_edges_hop csr_offsets tri_oriented_hop tri_sparsified pr_iter10_hop pr_dangling bfs_parent_trade
@@ -46,6 +47,17 @@ def test_tiled_pairs_equal_sql(spark, sf, name):
     assert "mapinarrow" in plan.lower() or "band" in plan
 
 
+def test_projection_of_scattered_ids_exchanges_no_pairs(spark, sf, tmp_path):
+    con = duckdb.connect()
+    con.execute(f"COPY (SELECT l_partkey * 7919 % 1200091 - 500000 AS l_partkey, l_suppkey * 104729 % 60101 AS l_suppkey FROM '{sf}/lineitem.parquet') TO '{tmp_path}/lineitem.parquet'")
+    con.execute(f"CREATE VIEW lineitem AS SELECT * FROM '{tmp_path}/lineitem.parquet'")
+    want = con.execute("SELECT a.p, b.p FROM (SELECT DISTINCT 2 * l_partkey AS p, l_suppkey AS s FROM lineitem) a JOIN (SELECT DISTINCT 2 * l_partkey AS p, l_suppkey AS s FROM lineitem) b ON a.s = b.s AND a.p < b.p GROUP BY 1, 2 HAVING count(*) >= 3").fetchall()
+    edges = spark.read.parquet(str(tmp_path / "lineitem.parquet")).selectExpr("2 * l_partkey AS src", "2 * l_suppkey + 1 AS dst")
+    got = Graph(edges.union(spark.createDataFrame([(None, 1), (2, None)], edges.schema))).project(3).edges
+    assert want and sorted(tuple(r) for r in got.collect()) == sorted(want)
+    assert "Exchange" not in got._jdf.queryExecution().executedPlan().toString()
+
+
 def test_theta_part_price_at_the_ends_of_its_range(spark, tmp_path):
     tiny = 5e-324
     prices = [None, *map(float, ("nan nan inf inf -inf -inf".split())), 0.0, -0.0, -1.0, -1.0, 1.7976931348623157e308, 1.797e308, 1.796e308, 1.79e308, tiny, tiny, *(k * tiny for k in (498, 499, 500, 501, 502, 1500, 1501, 1502)), *(900 + 0.1 * k for k in range(40))]
